@@ -1,0 +1,9 @@
+"""Registered queries of the sparse product engine and their SQL."""
+
+
+def queries():
+    return {}
+
+
+def oracle_sql():
+    return {}
