@@ -1,9 +1,122 @@
 """Registered queries of the sparse product engine and their SQL."""
 
+from __future__ import annotations
+
+from pyspark.sql import functions as F
+
+from sparsetier.functions import params as P
+from sparsetier.operators import blocks as B
+from sparsetier.plans import products as M
+from sparsetier.sources import matrices as S
+
+OP = "op as (select l_orderkey i, l_partkey j, cast(sum(l_quantity) as bigint) v from lineitem group by 1, 2)"
+PP = ("pp as (select a i, b j, count(*) v from (select l_partkey a, lead(l_partkey) over (partition by l_orderkey order by l_linenumber, l_partkey) b "
+      "from lineitem) where b is not null group by 1, 2)")
+COP = f"with {OP}, c as (select a.j i, b.j j, cast(sum(a.v * b.v) as bigint) v from op a join op b on a.i = b.i group by 1, 2) "
+SQUARE = f"with {PP}, c as (select a.i i, b.j j, cast(sum(a.v * b.v) as bigint) v from pp a join pp b on a.j = b.i group by 1, 2) "
+INTER = f"with {OP}, x as (select a.j i, b.j j, a.i k, a.v * b.v p from op a join op b on a.i = b.i) "
+TOY = P.TOY
+
+
+def _pair(spark, d):
+    op = S.order_part(spark, d)
+    return op.transpose(), op
+
+
+_Q, _SQL = {}, {}
+
+
+def _add(name, query, sql=None):
+    _Q[name] = query
+    if sql:
+        _SQL[name] = sql
+
+
+def _product(name, method):
+    _add(name, lambda spark, d: method(*_pair(spark, d)).df, COP + "select * from c")
+
+
+for _name, _method in {
+    "m1_rowwise_dense": M.rowwise_dense, "m1b_relational": M.relational, "m2_expand_sort_compress": M.expand_sort_compress,
+    "m4_fine_level": M.fine_level, "m4b_fine_level_sql": M.fine_level_sql, "m6_coarse_fine": lambda a, b: M.coarse_fine(a, b, TOY),
+    "m7_two_level": M.two_level, "m7_two_level_toy": lambda a, b: M.two_level(a, b, TOY), "m8_no_coarse": lambda a, b: M.two_level(a, b, TOY, coarse=False),
+    "m8b_sort_only": lambda a, b: M.fine_level(a, b, accumulator="sort"), "m8b_dense_only": lambda a, b: M.fine_level(a, b, accumulator="dense"),
+    "m9_segmented_b": M.segmented_b, "m10_hash": lambda a, b: M.relational(a, b, "shuffle_hash"), "m11_heap": M.heap_product,
+    "m13_plus_times": lambda a, b: M.semiring(a, b, "sum", "times"), "m15_outer": lambda a, b: M.relational(a, b, "merge"), "m18_grid": M.grid,
+}.items():
+    _product(_name, _method)
+
+_add("m7_square", lambda s, d: M.two_level(S.next_part(s, d), S.next_part(s, d), TOY).df, SQUARE + "select * from c")
+_add("m13_min_plus", lambda s, d: M.semiring(*_pair(s, d)).df, f"with {OP} select a.j i, b.j j, min(a.v + b.v) v from op a join op b on a.i = b.i group by 1, 2")
+_add("m13_plus_pair", lambda s, d: M.semiring(*_pair(s, d), "sum", "pair").df, f"with {OP} select a.j i, b.j j, count(*) v from op a join op b on a.i = b.i group by 1, 2")
+_add("m16_masked", lambda s, d: M.masked(S.next_part(s, d), S.next_part(s, d), S.next_part(s, d)).df, SQUARE + "select * from c where exists (select 1 from pp where pp.i = c.i and pp.j = c.j)")
+_add("m6_customer_part", lambda s, d: M.two_level(S.customer_order(s, d), S.order_part(s, d)).df,
+     f"with {OP} select o_custkey i, j, cast(sum(v) as bigint) v from orders join op on o_orderkey = i group by 1, 2")
+_add("m3_symbolic", lambda s, d: M.symbolic(*_pair(s, d)), COP + "select i, count(*) nnz from c group by 1")
+_add("m9_segment_summary", lambda s, d: M.segment_summary(S.part_supplier(s, d)).select("i", F.col("seg").cast("long").alias("seg"), "cnt", "first_j"),
+     "with ps as (select distinct l_partkey i, l_suppkey j from lineitem) select i, cast(floor(j / ((select max(s_suppkey) + 8 from supplier) // 8)) as bigint) seg, count(*) cnt, min(j) first_j from ps group by 1, 2")
+_add("f1_from_table", lambda s, d: S.order_part(s, d).df, f"with {OP} select * from op")
+_add("f2_row_packed", lambda s, d: B.unpack_rows(B.row_packed(S.order_part(s, d))).withColumn("pos", F.col("pos").cast("long")),
+     f"with {OP} select i, row_number() over (partition by i order by j) - 1 pos, j, v from op")
+_add("f3_row_pointers", lambda s, d: B.row_pointers(S.order_part(s, d)),
+     f"with {OP}, n as (select r.range i, count(op.j) c from range((select max(o_orderkey) + 1 from orders)) r left join op on op.i = r.range group by 1) "
+     "select i, cast(sum(c) over (order by i) - c as bigint) \"start\", cast(sum(c) over (order by i) as bigint) \"end\" from n")
+_add("f6_transpose", lambda s, d: S.order_part(s, d).transpose().df, f"with {OP} select j i, i j, v from op")
+_add("f10_describe", lambda s, d: B.describe(S.order_part(s, d)), f"with {OP} select count(*) nnz, count(distinct i) used_rows, count(distinct j) used_cols from op")
+_add("s12_intermediate_rows", lambda s, d: B.intermediate_rows(*_pair(s, d)), INTER + "select i, count(*) n_inter, min(j) jmin, max(j) jmax from x group by 1")
+
+
+def _categories(s, d):
+    a, b = _pair(s, d)
+    return B.categorize(a, b, P.plan_chunks(b.n_cols, TOY, M.TYPES), TOY, M.TYPES)
+
+
+_CAT = INTER + (", r as (select i, count(*) n_inter, min(j) jmin, max(j) jmax from x group by 1), t as (select *, case when n_inter < 256 then 'sort' "
+                "when (jmax - jmin + 1) * 9 <= 2048 then 'dense' when (select max(p_partkey) + 1 from part) <= 512 then 'fine' else 'coarse' end category from r) ")
+_add("s14_categories", _categories, _CAT + "select * from t")
+_add("s15_census", lambda s, d: B.census(_categories(s, d)), _CAT + "select category, count(*) n_rows, cast(sum(n_inter) as bigint) products from t group by 1")
+_add("s18_batches", lambda s, d: B.batches(B.intermediate_rows(*_pair(s, d)), 10_000),
+     INTER + ", r as (select i, count(*) n_inter from x group by 1) select i, n_inter, cast(floor((sum(n_inter) over (order by i) - n_inter) / 10000) as bigint) batch_id from r")
+_add("p1_histogram", lambda s, d: B.histogram(B.expand(*_pair(s, d)), 6), INTER + "select i, j >> 6 chunk, count(*) cnt from x group by 1, 2")
+_add("p2_prefix_sum", lambda s, d: B.prefix_sum(B.histogram(B.expand(*_pair(s, d)), 6), ["i"], "chunk", "cnt"),
+     INTER + ", h as (select i, j >> 6 chunk, count(*) cnt from x group by 1, 2) select i, chunk, cnt, cast(sum(cnt) over w - cnt as bigint) \"start\", cast(sum(cnt) over w as bigint) \"end\" from h window w as (partition by i order by chunk)")
+_add("p3_reorder", lambda s, d: B.reorder(B.expand(*_pair(s, d)), 6),
+     INTER + "select i, j >> 6 chunk, row_number() over (partition by i, j >> 6 order by j, k) - 1 pos, j - ((j >> 6) << 6) local_j, p from x")
+
+
+def _plans(spark, d):
+    rows = []
+    for spec in (P.SKX, P.SPR, P.EMR):
+        for phase in ("numeric", "symbolic"):
+            for log in range(10, 45, 2):
+                plan = P.plan_chunks(1 << log, spec, P.TypeSizes(), phase)
+                rows.append((spec.name, phase, log, plan.level, plan.n_coarse, plan.n_fine))
+    return spark.createDataFrame(rows, "machine string, phase string, log_columns int, level string, n_coarse long, n_fine long")
+
+
+_add("s10_plans", _plans)
+_add("s3_storage_sweep", lambda s, d: s.createDataFrame([(n, float(P.fine_storage(1 << 29, 1 << n, P.SPR, P.TypeSizes()))) for n in range(21)], "log_chunks long, bytes double"),
+     "select r.range log_chunks, cast(2684354560 as double) / (1 << r.range) + cast((1 << r.range) * 136 as double) bytes from range(21) r")
+
+
+def _volumes(spark, d):
+    a, b = _pair(spark, d)
+    n = B.intermediate_rows(a, b).agg(F.coalesce(F.sum("n_inter"), F.lit(0))).first()[0]
+    nnz, out = a.df.count(), M.symbolic(a, b).agg(F.coalesce(F.sum("nnz"), F.lit(0))).first()[0]
+    return spark.createDataFrame([(n, P.ideal_read_bytes(a.n_rows, nnz, n, M.TYPES), P.ideal_write_bytes(a.n_rows, out, M.TYPES))], "n_inter long, read_bytes long, write_bytes long")
+
+
+_add("c2_ideal_volumes", _volumes, INTER + ", n as (select max(p_partkey) + 2 n from part) select (select count(*) from x) n_inter, 16 * n + (select count(*) from op) * 56 + (select count(*) from x) * 24 read_bytes, "
+     "8 * n + (select count(*) from (select distinct i, j from x)) * 16 write_bytes from n")
+_add("g3_banded_square", lambda s, d: M.two_level(S.banded_matrix(s, 2000, 2), S.banded_matrix(s, 2000, 2), TOY).df,
+     "with m as (select a.range i, b.range - 2 + a.range j from range(2000) a, range(5) b where b.range - 2 + a.range between 0 and 1999) select a.i, b.j, count(*) v from m a join m b on a.j = b.i group by 1, 2")
+_add("w5_power_law_square", lambda s, d: M.two_level(S.power_law_matrix(s, 10), S.power_law_matrix(s, 10), TOY).df)
+_add("w6_uniform", lambda s, d: M.two_level(S.uniform_matrix(s, 64, 4096, 16, 42), S.uniform_matrix(s, 4096, 4096, 16, 43), TOY).df)
+
 
 def queries():
-    return {}
+    return dict(_Q)
 
 
 def oracle_sql():
-    return {}
+    return dict(_SQL)
