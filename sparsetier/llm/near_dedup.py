@@ -44,8 +44,9 @@ def shingle_hashes(words: list[bytes], cache: dict[bytes, int]) -> np.ndarray:
         return np.array([xxhash.xxh3_64_intdigest(b"short " + b" ".join(words))], dtype=np.uint64)
     if len(cache) > 500_000:
         cache.clear()
-    for w in set(words) - cache.keys():
-        cache[w] = xxhash.xxh3_64_intdigest(w)
+    for w in set(words):
+        if w not in cache:
+            cache[w] = xxhash.xxh3_64_intdigest(w)
     h = np.array([cache[w] for w in words], dtype=np.uint64)
     total = np.zeros(len(words) - SHINGLE + 1, dtype=np.uint64)
     for n in range(SHINGLE):
