@@ -7,6 +7,9 @@ from pyspark.sql import functions as F
 from sparsetier.llm import byte_bpe, decontaminate, near_dedup, quality_rules, suffix_dedup
 from sparsetier.llm.common import materialize, table
 
+#: Words of the shortest repeated passage that goes.
+PASSAGE = 51
+
 
 def quality(spark, docs, sf_dir):
     """Rejected documents go; in kept ones the failing lines go."""
@@ -22,8 +25,8 @@ def near_duplicates(spark, docs, sf_dir):
 
 
 def repeated_passages(spark, docs, sf_dir):
-    """Byte strings that occur twice are cut out; every document stays, maybe shorter."""
-    return suffix_dedup.remove_repeats(docs).withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
+    """Passages of over 50 words and strings of 400 bytes that occur twice are cut out; every document stays, maybe shorter."""
+    return suffix_dedup.remove_repeats(docs, words=PASSAGE).withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
 
 
 def benchmark_leaks(spark, docs, sf_dir):

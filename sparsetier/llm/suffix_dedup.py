@@ -7,13 +7,17 @@ search over prefix hashes; neighbours are verified byte by byte. Across texts, w
 the hash of the whole run, and only runs that share a smallest hash with different runs are opened into window rows.
 No group is gathered into one task.
 
+With ``words`` set, passages of at least that many equal words (whatever white space parts them) are cut as well, by the same
+steps with words in place of bytes; both kinds are found in the whole text, and what either finds goes.
+
 Null or empty text: nothing removed, n_spans 0. Rows are judged one by one, so repeated rows remove each other whole
-(from ``width`` bytes on). Texts shorter than ``width`` bytes stay.
+(from ``width`` bytes or ``words`` words on). Texts shorter than both stay.
 """
 
 from __future__ import annotations
 
 import hashlib
+import re
 
 import numpy as np
 from pyspark.sql import DataFrame
@@ -21,7 +25,10 @@ from pyspark.sql import functions as F
 
 from sparsetier.llm.common import arrow_rows, materialize, texts_of
 
-WIDTH, GRAM, SALTS = 400, 64, 8
+WIDTH, GRAM, WORD_GRAM, SALTS = 400, 64, 8, 8
+#: Unicode white space, as a character class for Python and Java alike.
+SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
+_WORD = re.compile(f"[^{SPACE}]+")
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 _INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
 
@@ -40,14 +47,20 @@ class Hashes:
 
     def __init__(self, data: bytes):
         self.data = np.frombuffer(data, dtype=np.uint8)
-        n = len(self.data) + 1
+        self._sum(Hashes.values[self.data])
+
+    def _sum(self, values: np.ndarray):
+        n = len(values) + 1
         if len(Hashes.powers) < n:
             for name, base in (("powers", _BASE), ("inverses", _INVERSE)):
                 step = np.full(2 * n, base, dtype=np.uint64)
                 step[0] = 1
                 setattr(Hashes, name, np.cumprod(step, dtype=np.uint64))
         self.prefix = np.zeros(n, dtype=np.uint64)
-        np.cumsum(Hashes.values[self.data] * Hashes.powers[:n - 1], out=self.prefix[1:])
+        np.cumsum(values * Hashes.powers[:n - 1], out=self.prefix[1:])
+
+    def equal(self, a: int, b: int, width: int) -> bool:
+        return self.data[a:a + width].tobytes() == self.data[b:b + width].tobytes()
 
     def of(self, start, stop):
         return _mix((self.prefix[stop] - self.prefix[start]) * Hashes.inverses[start])
@@ -90,6 +103,27 @@ class Hashes:
         return s
 
 
+class WordHashes(Hashes):
+    """The same over the words of a text; word n stands at the bytes ``first[n]`` to ``last[n]`` - 1."""
+
+    def __init__(self, text: str):
+        raw = Hashes(text.encode("utf-8", "surrogatepass"))
+        at = np.array([m.span() for m in _WORD.finditer(text)], dtype=np.int64).reshape(-1, 2)
+        points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype="<u4")
+        byte = np.concatenate([[0], np.cumsum(1 + (points >= 0x80) + (points >= 0x800) + (points >= 0x10000))])
+        self.first, self.last = byte[at[:, 0]], byte[at[:, 1]]
+        values = raw.of(self.first, self.last)
+        self.raw, self.data = raw.data, values >> np.uint64(1)
+        self._sum(values)
+
+    def equal(self, a, b, width):
+        return all(self.raw[self.first[a + n]:self.last[a + n]].tobytes() == self.raw[self.first[b + n]:self.last[b + n]].tobytes() for n in range(width))
+
+
+def _hashes(text: str, by_word: bool) -> Hashes:
+    return WordHashes(text) if by_word else Hashes(text.encode("utf-8", "surrogatepass"))
+
+
 def repeated_inside(h: Hashes, wide: np.ndarray, width: int = WIDTH) -> np.ndarray:
     """Starts of windows that occur at another place of the same text, byte-verified."""
     order = np.argsort(wide, kind="stable")
@@ -101,10 +135,8 @@ def repeated_inside(h: Hashes, wide: np.ndarray, width: int = WIDTH) -> np.ndarr
     twice[order[:-1][same]] = True
     s = h.sort_suffixes(np.flatnonzero(twice))
     near = h.common(s[:-1], s[1:]) >= width
-    raw = h.data.tobytes()
     for n in np.flatnonzero(near):
-        a, b = int(s[n]), int(s[n + 1])
-        near[n] = raw[a:a + width] == raw[b:b + width]
+        near[n] = h.equal(int(s[n]), int(s[n + 1]), width)
     return np.unique(np.concatenate([s[:-1][near], s[1:][near]]))
 
 
@@ -122,20 +154,23 @@ def _runs(values: np.ndarray):
     return at, np.diff(np.append(at, len(values)))
 
 
-def _fingerprints(texts: DataFrame, width: int) -> DataFrame:
+def _fingerprints(texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
     """Runs (low, whole, tkey, at, n): starts at … at + n - 1 share the smallest hash ``low``; low is null for starts that
     repeat inside their own text."""
+    gram = min(WORD_GRAM if by_word else GRAM, width)
 
     def start():
         def work(cols):
             for tkey, text in zip(cols["tkey"], cols["text"]):
-                h = Hashes(text.encode("utf-8", "surrogatepass"))
+                h = _hashes(text, by_word)
+                if len(h.data) < width:
+                    continue
                 inside = repeated_inside(h, h.windows(width), width)
                 if len(inside):
                     first, n = _runs(inside - np.arange(len(inside)))
                     for f, c in zip(inside[first].tolist(), n.tolist()):
                         yield None, None, tkey, f, c
-                low = sliding_min(h.windows(GRAM), width - GRAM + 1)
+                low = sliding_min(h.windows(gram), width - gram + 1)
                 at, n = _runs(low)
                 whole = h.of(at, at + n + width - 1)
                 yield from zip(low[at].view(np.int64).tolist(), whole.view(np.int64).tolist(), [tkey] * len(at), at.tolist(), n.tolist())
@@ -145,13 +180,13 @@ def _fingerprints(texts: DataFrame, width: int) -> DataFrame:
     return arrow_rows(texts, "low long, whole long, tkey binary, at int, n int", start, flush=65536)
 
 
-def _open_runs(runs: DataFrame, texts: DataFrame, width: int) -> DataFrame:
+def _open_runs(runs: DataFrame, texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
     """One row (h, h2, tkey, at) per window of the given runs."""
 
     def start():
         def work(cols):
             for tkey, text, spans in zip(cols["tkey"], cols["text"], cols["spans"]):
-                h = Hashes(text.encode("utf-8", "surrogatepass"))
+                h = _hashes(text, by_word)
                 wide, head = h.windows(width), h.windows(width // 2)
                 for s in spans:
                     a, b = s["at"], s["at"] + s["n"]
@@ -163,15 +198,33 @@ def _open_runs(runs: DataFrame, texts: DataFrame, width: int) -> DataFrame:
     return arrow_rows(texts.join(per_text, "tkey").select("tkey", "text", "spans"), "h long, h2 long, tkey binary, at int", start, flush=65536)
 
 
-def _cut(texts: DataFrame, spans: DataFrame, width: int) -> DataFrame:
+def _spans(texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
+    """(tkey, at, n): the windows at at … at + n - 1, in bytes or words, stand elsewhere too."""
+    prints = materialize(_fingerprints(texts.select("tkey", "text"), width, by_word), "runs")
+    runs = prints.where("low is not null")
+    kinds = materialize(runs.groupBy("low", "whole").agg(F.count("*").alias("c"), F.min(F.struct("tkey", "at", "n")).alias("one")), "kinds")
+    several = kinds.groupBy("low").agg(F.count("*").alias("k")).where("k > 1").select("low")
+    windows = materialize(_open_runs(kinds.join(several, "low").select("one.tkey", "one.at", "one.n"), texts, width, by_word), "windows")
+    shared = windows.groupBy("h", "h2").agg(F.count("*").alias("c")).where("c > 1").select("h", "h2")
+    return prints.where("low is null").select("tkey", "at", "n").unionByName(
+        runs.join(kinds.where("c > 1").select("low", "whole"), ["low", "whole"]).select("tkey", "at", "n")).unionByName(
+        windows.join(shared, ["h", "h2"]).select("tkey", "at", F.lit(1).alias("n")))
+
+
+def _cut(texts: DataFrame, spans: DataFrame, width: int, words: int | None = None) -> DataFrame:
     def start():
         def work(cols):
             for tkey, text, found in zip(cols["tkey"], cols["text"], cols["spans"]):
                 raw = text.encode("utf-8", "surrogatepass")
                 edge = np.zeros(len(raw) + 1, dtype=np.int64)
+                h = WordHashes(text) if any(s["by_word"] for s in found) else None
                 for s in found:
-                    edge[s["at"]] += 1
-                    edge[s["at"] + s["n"] + width - 1] -= 1
+                    if s["by_word"]:
+                        a, b = h.first[s["at"]], h.last[s["at"] + s["n"] + words - 2]
+                    else:
+                        a, b = s["at"], s["at"] + s["n"] + width - 1
+                    edge[a] += 1
+                    edge[b] -= 1
                 gone = np.cumsum(edge)[:-1] > 0
                 kept = np.frombuffer(raw, dtype=np.uint8)[~gone].tobytes()
                 n_spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum())
@@ -179,7 +232,7 @@ def _cut(texts: DataFrame, spans: DataFrame, width: int) -> DataFrame:
 
         return work
 
-    per_text = spans.groupBy("tkey").agg(F.collect_list(F.struct("at", "n")).alias("spans"))
+    per_text = spans.groupBy("tkey").agg(F.collect_list(F.struct("at", "n", "by_word")).alias("spans"))
     return arrow_rows(texts.join(per_text, "tkey").select("tkey", "text", "spans"), "tkey binary, n_removed long, n_spans long, kept binary, kept_sha256 string", start)
 
 
@@ -187,23 +240,20 @@ def with_key(docs: DataFrame) -> DataFrame:
     return docs.withColumn("sha", F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256)).withColumn("tkey", F.unhex(F.substring("sha", 1, 32)))
 
 
-def repeats(docs: DataFrame, width: int = WIDTH) -> DataFrame:
+def repeats(docs: DataFrame, width: int = WIDTH, words: int | None = None) -> DataFrame:
     """(tkey, n_removed, n_spans, kept, kept_sha256) of every distinct text that loses bytes, written in the shared folder."""
-    long_texts = with_key(texts_of(docs)).where(F.octet_length("text") >= width)
+    enough = F.octet_length("text") >= width
+    if words:
+        enough |= F.regexp_count("text", F.lit(_WORD.pattern)) >= words
+    long_texts = with_key(texts_of(docs)).where(enough)
     texts = materialize(long_texts.groupBy("tkey").agg(F.first("text").alias("text"), F.count("*").alias("copies")), "texts")
-    prints = materialize(_fingerprints(texts.select("tkey", "text"), width), "runs")
-    runs = prints.where("low is not null")
-    kinds = materialize(runs.groupBy("low", "whole").agg(F.count("*").alias("c"), F.min(F.struct("tkey", "at", "n")).alias("one")), "kinds")
-    several = kinds.groupBy("low").agg(F.count("*").alias("k")).where("k > 1").select("low")
-    windows = materialize(_open_runs(kinds.join(several, "low").select("one.tkey", "one.at", "one.n"), texts, width), "windows")
-    shared = windows.groupBy("h", "h2").agg(F.count("*").alias("c")).where("c > 1").select("h", "h2")
-    spans = prints.where("low is null").select("tkey", "at", "n").unionByName(
-        runs.join(kinds.where("c > 1").select("low", "whole"), ["low", "whole"]).select("tkey", "at", "n")).unionByName(
-        windows.join(shared, ["h", "h2"]).select("tkey", "at", F.lit(1).alias("n")))
+    spans = _spans(texts, width).withColumn("by_word", F.lit(False))
+    if words:
+        spans = spans.unionByName(_spans(texts, words, True).withColumn("by_word", F.lit(True)))
     once = texts.where("copies = 1")
     whole = texts.where("copies > 1").select("tkey", F.octet_length("text").cast("long").alias("n_removed"), F.lit(1).cast("long").alias("n_spans"),
                                              F.lit(b"").alias("kept"), F.sha2(F.lit(b""), 256).alias("kept_sha256"))
-    return materialize(_cut(once, spans, width).unionByName(whole), "repeats")
+    return materialize(_cut(once, spans, width, words).unionByName(whole), "repeats")
 
 
 def repeat_report(docs: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -216,8 +266,8 @@ def repeat_report(docs: DataFrame, width: int = WIDTH) -> DataFrame:
         F.coalesce("kept_sha256", "sha").alias("kept_sha256"))
 
 
-def remove_repeats(docs: DataFrame, width: int = WIDTH) -> DataFrame:
+def remove_repeats(docs: DataFrame, width: int = WIDTH, words: int | None = None) -> DataFrame:
     """``docs`` with the repeated bytes cut out of ``text``; pieces of a character that a cut leaves are dropped."""
-    found = repeats(docs, width).select(F.col("tkey").alias("_tkey"), F.col("kept").cast("string").alias("_raw"))
+    found = repeats(docs, width, words).select(F.col("tkey").alias("_tkey"), F.col("kept").cast("string").alias("_raw"))
     keyed = docs.withColumn("_tkey", F.unhex(F.substring(F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256), 1, 32)))
     return keyed.join(found, "_tkey", "left").withColumn("text", F.coalesce(F.regexp_replace(F.make_valid_utf8("_raw"), "�", ""), F.col("text"))).select(docs.columns)
