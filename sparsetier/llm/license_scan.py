@@ -1,9 +1,9 @@
 """License scans through a positional rare-token index.
 
-The index holds the postings (template, position) of every word of the licence templates. For each text the licence words
-with the highest IDF (over the templates) are looked up, their postings vote for a relative position, and a
+The index holds the postings (template, position) of every word of the licence templates. For each text all licence words
+in it are looked up, as the index is small; their postings vote for a relative position, and a
 template whose best position gathers enough words gets its label when all of its mandatory key phrases stand in
-the text. Base phrases are searched in every text. Null or empty text: no words, empty labels, score 0.
+the text. The score is the share of the template's IDF weight at that position, whatever else the text holds. Base phrases are searched in every text. Null or empty text: no words, empty labels, score 0.
 """
 
 from __future__ import annotations
@@ -43,7 +43,7 @@ def build_index(templates=TEMPLATES):
     return dict(postings), {w: math.log(1 + len(templates) / n) for w, n in seen.items()}
 
 
-def scan_text(text: str, postings, idf, templates=TEMPLATES, top: int = 12):
+def scan_text(text: str, postings, idf, templates=TEMPLATES):
     words = _WORD.findall(text.translate(_LOWER))
     flat = " " + " ".join(words) + " "
     starts, base = [], set()
@@ -52,10 +52,10 @@ def scan_text(text: str, postings, idf, templates=TEMPLATES, top: int = 12):
         while (at := flat.find(needle, at + 1)) >= 0:
             starts.append(flat.count(" ", 0, at))
             base.add(label)
-    rare = sorted(postings.keys() & set(words), key=lambda w: (-idf[w], w))[:top]
+    wanted = postings.keys() & set(words)
     labels, score = set(base), 1.0 if base else 0.0
-    if rare:
-        wanted, votes = set(rare), defaultdict(set)
+    if wanted:
+        votes = defaultdict(set)
         for at, word in enumerate(words):
             if word in wanted:
                 for label, place in postings[word]:
@@ -64,7 +64,8 @@ def scan_text(text: str, postings, idf, templates=TEMPLATES, top: int = 12):
             phrases = templates[label][1]
             if len(got) >= 2 and all(f" {p} " in flat for p in phrases):
                 labels.add(label)
-                score = max(score, min(1.0, sum(idf[w] for w in got) / sum(idf[w] for w in rare)))
+                own = set(templates[label][0].split())
+                score = max(score, min(1.0, sum(idf[w] for w in got) / sum(idf[w] for w in own)))
     return len(words), starts, base, labels, score
 
 

@@ -137,3 +137,13 @@ def test_license(docs, empty):
     assert (got[6].n_base, got[6].first_word, got[6].last_word, got[6].base_labels) == (3, 0, 5, "cc-by,reserved")
     assert got[1].labels == "" and got[4].n_words == 0
     assert license_scan.license_scan(empty).count() == 0
+
+
+def test_license_whole_notices(spark):
+    notices = {label: text for label, (text, _) in license_scan.TEMPLATES.items()}
+    prose = "Some words can be put by hand in a file for each form, except for the code; 4 are free of charge, may apply, and this is any copy you use."
+    rows = [(0, "\n".join(notices.values()))] + [(n, f"{prose}\n{text}") for n, text in enumerate(notices.values(), 1)] + [(99, prose)]
+    got = {r.doc_id: r for r in license_scan.license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got[0].labels == ",".join(sorted(notices)) and got[99].labels == ""
+    for n, label in enumerate(notices, 1):
+        assert label in got[n].labels.split(",") and got[n].score == 1.0
