@@ -17,11 +17,21 @@ def quality(spark, docs, sf_dir):
     return judged.withColumn("text", F.col("clean_text")).withColumn("n_chars", F.length("text").cast("long")).select(docs.columns)
 
 
+def numbered(docs):
+    """Rows with a number of their own, ``_row``, as a doc_id may be null or stand on several rows; written, so that numbers hold."""
+    return materialize(docs.withColumn("_row", F.monotonically_increasing_id()), "numbered")
+
+
 def near_duplicates(spark, docs, sf_dir):
-    """One document of each group stays: the one with the smallest doc_id; rows that repeat a doc_id count once."""
-    kept = near_dedup.near_components(docs).where("kept").select("doc_id").distinct()
-    once = docs.where("doc_id is not null").dropDuplicates(["doc_id"]).join(kept, "doc_id", "left_semi")
-    return once.unionByName(docs.where("doc_id is null")).select(docs.columns)
+    """One row of each group stays: the one with the smallest doc_id, null last. Every row is judged by its own text, whatever its
+    doc_id; rows without words count once per doc_id, and all stay where that is null."""
+    rows = numbered(docs)
+    found = near_dedup.near_components(rows.select(F.col("_row").alias("doc_id"), "text")).withColumnRenamed("doc_id", "_row")
+    wordless = (F.col("n_shingles") == 0) & F.col("doc_id").isNotNull()
+    groups = found.join(rows.select("_row", "doc_id"), "_row").groupBy(
+        F.when(~wordless, F.col("component_id")).alias("component"), F.when(wordless, F.col("doc_id")).alias("same_id"))
+    kept = groups.agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_row")).alias("first")).select("first._row")
+    return rows.join(kept, "_row", "left_semi").select(docs.columns)
 
 
 def repeated_passages(spark, docs, sf_dir):
@@ -30,9 +40,10 @@ def repeated_passages(spark, docs, sf_dir):
 
 
 def benchmark_leaks(spark, docs, sf_dir):
-    """Documents that contain a benchmark item go."""
-    hit = decontaminate.contaminated(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct()
-    return docs.join(hit, "doc_id", "left_anti").select(docs.columns)
+    """Rows that contain a benchmark item go, each judged by its own text."""
+    rows = numbered(docs)
+    hit = decontaminate.contaminated(rows.select(F.col("_row").alias("doc_id"), "text"), table(spark, sf_dir, "benchmark"))
+    return rows.join(hit.select(F.col("doc_id").alias("_row")).distinct(), "_row", "left_anti").select(docs.columns)
 
 
 def tokens(spark, docs, sf_dir):

@@ -8,7 +8,8 @@ and no candidate pair that could still join two components is left out.
 
 At Jaccard 0.75 a pair misses all 20 bands of 4 with chance 5e-4. The pairs of that second step are first compared by
 4 bits of each of the 80 signature values: at Jaccard 0.75 some 61 agree, and fewer than 43 with chance below 1e-5. Null or empty texts (no words): n_shingles 0, own component.
-Rows without doc_id are measured, kept and linked with nothing. Rows that repeat a doc_id share its component.
+Rows without doc_id are measured, kept and linked with nothing. Rows that repeat a doc_id share its component, and
+links of any of their texts count.
 """
 
 from __future__ import annotations
@@ -163,7 +164,7 @@ def near_components(docs: DataFrame) -> DataFrame:
     def texts_for(pairs):
         need = pairs.select(F.col("u").alias("node")).unionByName(pairs.select(F.col("v").alias("node"))).distinct()
         own = nodes.join(need, "node", "left_semi").select("key", "node")
-        return sig.select("key", "text", F.col("doc_id").alias("node")).join(own, ["key", "node"]).dropDuplicates(["node"]).select("node", "text")
+        return sig.select("key", "text", F.col("doc_id").alias("node")).join(own, ["key", "node"]).dropDuplicates(["key"]).select("node", "text")
 
     edges = materialize(confirm(star, texts_for(star)).unionByName(shared_id), "edges")
     found = components(edges)

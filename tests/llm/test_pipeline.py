@@ -1,10 +1,12 @@
 """Pipeline stages against plain versions on small fixtures."""
 
 import re
+from collections import Counter
 
 import numpy as np
 
 import corpus_pipeline
+from sparsetier.llm import near_dedup
 
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -48,3 +50,27 @@ def test_repeated_passages(spark):
     assert sorted((r.doc_id or 0, r.text or "") for r in got) == sorted(zip([i or 0 for i, _ in rows], without_repeats([t or "" for _, t in rows])))
     text = {r.doc_id: r.text for r in got}
     assert "p01" not in text[1] and "p01" not in text[2] and short in text[3] and short in text[4]
+
+
+def test_near_duplicates(spark):
+    one, two = filler(20, 60), filler(21, 60)
+    near = one.replace("f20x3 ", "changed ")
+    rows = [(1, one), (2, near), (3, two), (3, one + " more"), (4, filler(22, 40)), (4, filler(23, 40)), (None, two), (None, filler(24, 40)), (None, filler(24, 40)),
+            (5, None), (5, ""), (6, ""), (None, None)]
+    got = corpus_pipeline.near_duplicates(spark, table_of(spark, rows), None).collect()
+    ids = Counter((r.doc_id, r.text or "") for r in got)
+    assert ids == Counter([(1, one), (3, two), (4, filler(22, 40)), (4, filler(23, 40)), (None, filler(24, 40)), (5, ""), (6, ""), (None, "")])
+
+
+def test_benchmark_leaks(spark, tmp_path):
+    item = filler(30, 12)
+    spark.createDataFrame([(1, item)], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    rows = [(1, f"{filler(31, 9)} {item} {filler(32, 9)}"), (1, filler(33, 20)), (2, filler(34, 20)), (None, f"x {item} y"), (None, filler(35, 20)), (3, None)]
+    got = corpus_pipeline.benchmark_leaks(spark, table_of(spark, rows), str(tmp_path)).collect()
+    assert Counter((r.doc_id, r.text) for r in got) == Counter((i, t) for i, t in rows if item not in (t or ""))
+
+
+def test_near_dedup_repeated_id(spark):
+    rows = [(1, filler(40, 60)), (1, filler(41, 60)), (2, filler(40, 60) + " tail"), (3, filler(41, 60) + " tail")]
+    got = near_dedup.near_components(table_of(spark, rows)).collect()
+    assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (2, 1), (3, 1)}
