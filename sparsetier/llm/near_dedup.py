@@ -3,8 +3,8 @@
 Each permutation gives two signature values, the minimum and the maximum of the permuted shingle hashes. Bands of
 ``ROWS`` values are candidate keys; links are confirmed on the full shingle sets. Equal word sequences are one node. In a bucket every
 member is first compared with the one whose buckets hold most members (the likely original of a group of copies); after components are known, only members outside the bucket's
-largest component meet members of other components, so a large group of near copies never becomes all pairs,
-and no candidate pair that could still join two components is left out.
+largest component meet members of other components, so a large group of near copies never becomes all pairs.
+Of the candidate pairs that could still join two components, only those that fail the packed signatures below are left out.
 
 At Jaccard 0.75 a pair misses all 20 bands of 4 with chance 5e-4. The pairs of that second step are first compared by
 4 bits of each of the 80 signature values: at Jaccard 0.75 some 61 agree, and fewer than 43 with chance below 1e-5. Null or empty texts (no words): n_shingles 0, own component.
