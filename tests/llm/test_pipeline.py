@@ -1,12 +1,14 @@
 """Pipeline stages against plain versions on small fixtures."""
 
+import hashlib
 import re
 from collections import Counter
 
 import numpy as np
+import public_tokenizers
 
 import corpus_pipeline
-from sparsetier.llm import near_dedup
+from sparsetier.llm import byte_bpe, near_dedup
 
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -74,3 +76,15 @@ def test_near_dedup_repeated_id(spark):
     rows = [(1, filler(40, 60)), (1, filler(41, 60)), (2, filler(40, 60) + " tail"), (3, filler(41, 60) + " tail")]
     got = near_dedup.near_components(table_of(spark, rows)).collect()
     assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (2, 1), (3, 1)}
+
+
+def test_tokens(spark):
+    import tiktoken
+
+    coder = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_bpe.load_ranks("byte_bpe_50k.tiktoken"), special_tokens={})
+    rows = [(1, filler(50, 30)), (1, "Élan vital.\n\n 12345"), (2, ""), (3, None), (None, "same"), (None, "same")]
+    want = Counter()
+    for i, t in rows:
+        ids = coder.encode_ordinary(t or "")
+        want[i, len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()] += 1
+    assert Counter(map(tuple, corpus_pipeline.tokens(spark, table_of(spark, rows), None).collect())) == want
