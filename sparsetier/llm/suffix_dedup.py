@@ -1,77 +1,187 @@
-"""Removal of byte strings that occur twice, in a document or across documents.
-
-Equal texts are one row. For each text, prefix polynomial hashes give the hash of any substring. Inside a text, starts whose
-window hash repeats are sorted as suffixes: a mergesort network whose comparisons find the common extension by binary
-search over prefix hashes; neighbours are verified byte by byte. Across texts, windows are grouped by their smallest
-``GRAM``-byte hash (equal windows have equal smallest hashes): runs of starts with one smallest hash travel as one row with
-the hash of the whole run, and only runs that share a smallest hash with different runs are opened into window rows.
-No group is gathered into one task.
-
-With ``words`` set, passages of at least that many equal words (whatever white space parts them) are cut as well, by the same
-steps with words in place of bytes; both kinds are found in the whole text, and what either finds goes.
-
-Null or empty text: nothing removed, n_spans 0. Rows are judged one by one, so repeated rows remove each other whole
-(from ``width`` bytes or ``words`` words on). Texts shorter than both stay.
+"""Removal of strings that occur twice, in a document or across documents.
+
+A window is ``width`` units long: bytes, or words (runs without ASCII white space; which white space parts them does not count).
+
+1. Every text is cut into runs: neighbouring window starts with one smallest gram hash (``low``). Equal windows have equal smallest
+   gram hashes, so equal windows always meet in one bucket, the runs with one ``low``. Only buckets of several runs, or of one that
+   holds its gram twice, go on.
+2. Runs of equal content (128-bit digest of the bytes) are one kind; every window of a kind that occurs twice stands elsewhere too.
+3. The kinds of a bucket are compared as suffixes. Prefix polynomial hashes modulo 2**61 - 1 give the hash of any substring;
+   window hashes that occur once in the bucket are passed over; of the others the first start of each stretch, and partners with its
+   hash, are ordered by a mergesort network whose comparisons find the common extension by binary search over hashes.
+   Neighbours with a common extension of ``width`` units or more are verified byte by byte; the verified extension covers the
+   windows from there on, and starts that are not covered yet make the next round.
+4. A bucket too large for one task (``HOT_BYTES`` of content) is opened instead into one row per window with a 128-bit digest of its
+   bytes, which are counted with partial aggregation; no group is gathered.
+
+With ``words`` set, passages of that many equal words are cut as well as strings of ``width`` bytes; both kinds are judged on the
+whole input text. Null or empty text: nothing removed, n_spans 0. Rows are judged one by one, so repeated rows remove each other whole
+(from ``width`` bytes or ``words`` words on). Texts shorter than both stay. Very long texts are hashed in blocks of ``BLOCK``
+units. Other input columns stay as they are, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
-import re
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import arrow_rows, materialize, texts_of
+from sparsetier.llm.common import Scratch, arrow_rows
+
+WIDTH, GRAM, WORD_GRAM = 400, 64, 8
+BLOCK, BATCH_BYTES, HOT_BYTES = 1 << 20, 8 << 20, 4 << 20
+_P = np.uint64((1 << 61) - 1)
+_U = np.uint64
+_BLANK = np.zeros(256, dtype=bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
 
-WIDTH, GRAM, WORD_GRAM, SALTS = 400, 64, 8, 8
-#: Unicode white space, as a character class for Python and Java alike.
-SPACE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
-_WORD = re.compile(f"[^{SPACE}]+")
-_BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
-_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+
+# ---- the filter hash: gram hashes modulo 2**64, only ever used to bring equal windows together
+
+_ODD = _U(0x9E3779B97F4A7C15)
+_BYTES = np.random.default_rng(7).integers(0, 1 << 63, 256, dtype=np.uint64)
+_TABLES: dict[str, np.ndarray] = {}
 
 
 def _mix(h):
-    h = (h ^ (h >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
-    return h ^ (h >> np.uint64(29))
+    h = (h ^ (h >> _U(32))) * _U(0xD6E8FEB86659FD93)
+    return h ^ (h >> _U(29))
 
 
-class Hashes:
-    """Prefix polynomial hashes modulo 2**64 over random byte values; substring hashes in constant time."""
+def _powers(n: int):
+    """Powers of the base and of its inverse; at most of a block's length."""
+    if len(_TABLES.get("up", ())) < n:
+        for name, base in (("up", int(_ODD)), ("down", pow(int(_ODD), -1, 1 << 64))):
+            step = np.full(2 * n, base, dtype=np.uint64)
+            step[0] = 1
+            _TABLES[name] = np.cumprod(step, dtype=np.uint64)
+    return _TABLES["up"], _TABLES["down"]
 
-    values = np.random.default_rng(7).integers(0, 1 << 63, 256, dtype=np.uint64)
-    powers = np.ones(1, dtype=np.uint64)
-    inverses = np.ones(1, dtype=np.uint64)
 
-    def __init__(self, data: bytes):
-        self.data = np.frombuffer(data, dtype=np.uint8)
-        self._sum(Hashes.values[self.data])
+def _prefix(values: np.ndarray) -> np.ndarray:
+    out = np.zeros(len(values) + 1, dtype=np.uint64)
+    np.cumsum(values * _powers(len(values) + 1)[0][:len(values)], out=out[1:])
+    return out
 
-    def _sum(self, values: np.ndarray):
-        n = len(values) + 1
-        if len(Hashes.powers) < n:
-            for name, base in (("powers", _BASE), ("inverses", _INVERSE)):
-                step = np.full(2 * n, base, dtype=np.uint64)
-                step[0] = 1
-                setattr(Hashes, name, np.cumprod(step, dtype=np.uint64))
-        self.prefix = np.zeros(n, dtype=np.uint64)
-        np.cumsum(values * Hashes.powers[:n - 1], out=self.prefix[1:])
 
-    def equal(self, a: int, b: int, width: int) -> bool:
-        return self.data[a:a + width].tobytes() == self.data[b:b + width].tobytes()
+def _grams(values: np.ndarray, gram: int) -> np.ndarray:
+    prefix = _prefix(values)
+    n = len(prefix) - gram
+    return _mix((prefix[gram:] - prefix[:n]) * _powers(n)[1][:n])
+
+
+def sliding_min(x: np.ndarray, k: int) -> np.ndarray:
+    n = len(x)
+    padded = np.concatenate([x, np.full(-n % k + k, ~_U(0))]).reshape(-1, k)
+    left = np.minimum.accumulate(padded, 1).ravel()
+    right = np.minimum.accumulate(padded[:, ::-1], 1)[:, ::-1].ravel()
+    return np.minimum(right[:n - k + 1], left[k - 1:n])
 
-    def of(self, start, stop):
-        return _mix((self.prefix[stop] - self.prefix[start]) * Hashes.inverses[start])
 
-    def windows(self, width: int):
-        n = len(self.prefix) - width
-        return _mix((self.prefix[width:] - self.prefix[:n]) * Hashes.inverses[:n])
+def word_units(raw: bytes):
+    """(hash, first byte, end byte) of the words of a text, found block by block."""
+    values, firsts, lasts = [], [], []
+    at = 0
+    while at < len(raw):
+        stop = min(len(raw), at + BLOCK)
+        while stop < len(raw) and not _BLANK[raw[stop]]:
+            stop += 1
+        data = np.frombuffer(raw, dtype=np.uint8, count=stop - at, offset=at)
+        full = np.concatenate([[False], ~_BLANK[data], [False]])
+        edge = np.flatnonzero(full[1:] != full[:-1])
+        first, last = edge[::2], edge[1::2]
+        prefix = _prefix(_BYTES[data])
+        values.append(_mix((prefix[last] - prefix[first]) * _powers(len(prefix))[1][first] + (last - first).astype(np.uint64)))
+        firsts.append(first + at)
+        lasts.append(last + at)
+        at = stop
+    empty = np.zeros(0, dtype=np.int64)
+    return (np.concatenate(values) if values else empty.view(np.uint64), np.concatenate([empty, *firsts]), np.concatenate([empty, *lasts]))
+
+
+def runs_of(raw: bytes, width: int, by_word: bool):
+    """(low, at, n, twice, content) of a text: the windows at at … at + n - 1 have the smallest gram hash ``low``, which stands there
+    at two places or more if ``twice``. Words in the content are parted by one blank."""
+    gram = min(WORD_GRAM if by_word else GRAM, width)
+    units, first, last = word_units(raw) if by_word else (np.frombuffer(raw, dtype=np.uint8), None, None)
+    for a in range(0, max(0, len(units) - width + 1), BLOCK):
+        part = units[a:a + BLOCK + width - 1]
+        g = _grams(part if by_word else _BYTES[part], gram)
+        low = sliding_min(g, width - gram + 1)
+        cut = np.flatnonzero(np.concatenate([[True], low[1:] != low[:-1]]))
+        size = np.diff(np.append(cut, len(low)))
+        for at, n, value in zip(cut.tolist(), size.tolist(), low[cut]):
+            twice = np.count_nonzero(g[at:at + n + width - gram] == value) > 1
+            yield int(value.view(np.int64)), a + at, n, twice, _content(raw, first, last, a + at, n + width - 1)
+
+
+def _content(raw: bytes, first, last, at: int, n: int) -> bytes:
+    return raw[at:at + n] if first is None else b" ".join(raw[first[at]:last[at + n - 1]].split())
+
+
+def _digest(data: bytes) -> bytes:
+    return hashlib.blake2b(data, digest_size=16).digest()
+
+
+# ---- suffixes compared by hashes modulo 2**61 - 1
+
+def _fold(x):
+    x = (x & _P) + (x >> _U(61))
+    return x - _P * (x >= _P)
+
+
+def _times(a, b):
+    """a * b modulo 2**61 - 1 in 64-bit arithmetic."""
+    a1, a0, b1, b0 = a >> _U(32), a & _U(0xFFFFFFFF), b >> _U(32), b & _U(0xFFFFFFFF)
+    middle, lowest = a1 * b0 + a0 * b1, a0 * b0
+    return _fold(_U(8) * a1 * b1 + (middle >> _U(29)) + ((middle & _U((1 << 29) - 1)) << _U(32)) + (lowest & _P) + (lowest >> _U(61)))
+
+
+class Suffixes:
+    """The units of several pieces one after the other; suffixes end with their piece."""
+
+    base = _U(0x1B873593CC9E2D51 % ((1 << 61) - 1))
+
+    def __init__(self, pieces: list[bytes], by_word: bool):
+        if by_word:
+            words = [p.split(b" ") for p in pieces]
+            flat = [w for ws in words for w in ws]
+            lengths = np.array([len(ws) for ws in words], dtype=np.int64)
+            self.raw = b" ".join(flat)
+            size = np.array([len(w) for w in flat], dtype=np.int64)
+            self.last = np.cumsum(size + 1) - 1
+            self.first = self.last - size
+            values = word_units(self.raw)[0] >> _U(4)
+        else:
+            self.raw = b"".join(pieces)
+            lengths = np.array([len(p) for p in pieces], dtype=np.int64)
+            self.first = self.last = None
+            values = np.frombuffer(self.raw, dtype=np.uint8).astype(np.uint64)
+        self.ends = np.cumsum(lengths)
+        self.begins = self.ends - lengths
+        self.units = values + _U(1)
+        self.end_of = np.repeat(self.ends, lengths)
+        n = len(values)
+        self.power = np.ones(1, dtype=np.uint64)
+        step = self.base
+        while len(self.power) <= n:
+            self.power = np.concatenate([self.power, _times(self.power, step)])
+            step = _times(step, step)
+        terms = _times(self.units, self.power[:n])
+        high, lower = np.cumsum(terms >> _U(32)), np.cumsum(terms & _U(0xFFFFFFFF))
+        self.prefix = np.zeros(n + 1, dtype=np.uint64)
+        self.prefix[1:] = _fold(_fold((high >> _U(29)) + ((high & _U((1 << 29) - 1)) << _U(32))) + _fold(lower))
+
+    def of(self, start, stop):
+        """Hash of the units from start to stop, brought to one power."""
+        return _times(_fold(self.prefix[stop] + (_P - self.prefix[start])), self.power[len(self.units) - start])
 
     def common(self, a, b):
-        """Length of the common extension of suffixes a and b (arrays), by binary search over hashes."""
-        low, high = np.zeros(len(a), dtype=np.int64), len(self.data) - np.maximum(a, b)
+        """Length of the common extension of the suffixes at a and b, by binary search over hashes."""
+        low, high = np.zeros(len(a), dtype=np.int64), np.minimum(self.end_of[a] - a, self.end_of[b] - b)
         while (low < high).any():
             middle = (low + high + 1) // 2
             same = self.of(a, a + middle) == self.of(b, b + middle)
@@ -79,195 +189,237 @@ class Hashes:
         return low
 
     def after(self, a, b):
-        """Whether suffix a sorts after suffix b."""
-        n, k = len(self.data), self.common(a, b)
-        left = np.where(a + k < n, self.data[np.minimum(a + k, n - 1)].astype(np.int64), -1)
-        right = np.where(b + k < n, self.data[np.minimum(b + k, n - 1)].astype(np.int64), -1)
+        k = self.common(a, b)
+        n = len(self.units) - 1
+        left = np.where(a + k < self.end_of[a], self.units[np.minimum(a + k, n)], _U(0))
+        right = np.where(b + k < self.end_of[b], self.units[np.minimum(b + k, n)], _U(0))
         return left > right
 
-    def sort_suffixes(self, starts: np.ndarray) -> np.ndarray:
-        """Odd-even mergesort network; every layer compares all of its pairs at once."""
-        s, n = starts.astype(np.int64).copy(), len(starts)
+    def sort(self, starts: np.ndarray, group: np.ndarray) -> np.ndarray:
+        """Suffixes ordered inside each group (``group`` does not fall): an odd-even mergesort network whose layers compare all of
+        their pairs, in all groups, at once."""
+        s = starts.astype(np.int64).copy()
+        if not len(s):
+            return s
+        begin = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]]))
+        size = np.diff(np.append(begin, len(s)))
+        place, size = np.arange(len(s)) - np.repeat(begin, size), np.repeat(size, size)
         p = 1
-        while p < n:
+        while p < size.max():
             k = p
             while k >= 1:
-                j = np.arange(k % p, n - k, 2 * k)
-                left = (j[:, None] + np.arange(k)[None, :]).ravel()
-                left = left[left + k < n]
-                left = left[left // (2 * p) == (left + k) // (2 * p)]
+                r = place - k % p
+                left = np.flatnonzero((r >= 0) & (r // k % 2 == 0) & (place + k < size) & (place // (2 * p) == (place + k) // (2 * p)))
                 swap = left[self.after(s[left], s[left + k])] if len(left) else left
                 s[swap], s[swap + k] = s[swap + k], s[swap]
                 k //= 2
             p *= 2
         return s
 
-
-class WordHashes(Hashes):
-    """The same over the words of a text; word n stands at the bytes ``first[n]`` to ``last[n]`` - 1."""
-
-    def __init__(self, text: str):
-        raw = Hashes(text.encode("utf-8", "surrogatepass"))
-        at = np.array([m.span() for m in _WORD.finditer(text)], dtype=np.int64).reshape(-1, 2)
-        points = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype="<u4")
-        byte = np.concatenate([[0], np.cumsum(1 + (points >= 0x80) + (points >= 0x800) + (points >= 0x10000))])
-        self.first, self.last = byte[at[:, 0]], byte[at[:, 1]]
-        values = raw.of(self.first, self.last)
-        self.raw, self.data = raw.data, values >> np.uint64(1)
-        self._sum(values)
-
-    def equal(self, a, b, width):
-        return all(self.raw[self.first[a + n]:self.last[a + n]].tobytes() == self.raw[self.first[b + n]:self.last[b + n]].tobytes() for n in range(width))
-
-
-def _hashes(text: str, by_word: bool) -> Hashes:
-    return WordHashes(text) if by_word else Hashes(text.encode("utf-8", "surrogatepass"))
-
-
-def repeated_inside(h: Hashes, wide: np.ndarray, width: int = WIDTH) -> np.ndarray:
-    """Starts of windows that occur at another place of the same text, byte-verified."""
-    order = np.argsort(wide, kind="stable")
-    same = wide[order][1:] == wide[order][:-1]
-    if not same.any():
-        return np.zeros(0, dtype=np.int64)
-    twice = np.zeros(len(wide), dtype=bool)
-    twice[order[1:][same]] = True
-    twice[order[:-1][same]] = True
-    s = h.sort_suffixes(np.flatnonzero(twice))
-    near = h.common(s[:-1], s[1:]) >= width
-    for n in np.flatnonzero(near):
-        near[n] = h.equal(int(s[n]), int(s[n + 1]), width)
-    return np.unique(np.concatenate([s[:-1][near], s[1:][near]]))
-
-
-def sliding_min(x: np.ndarray, k: int) -> np.ndarray:
-    n = len(x)
-    padded = np.concatenate([x, np.full(-n % k + k, ~np.uint64(0))]).reshape(-1, k)
-    left = np.minimum.accumulate(padded, 1).ravel()
-    right = np.minimum.accumulate(padded[:, ::-1], 1)[:, ::-1].ravel()
-    return np.minimum(right[:n - k + 1], left[k - 1:n])
-
-
-def _runs(values: np.ndarray):
-    """Starts and lengths of maximal runs of equal values."""
-    at = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
-    return at, np.diff(np.append(at, len(values)))
-
-
-def _fingerprints(texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
-    """Runs (low, whole, tkey, at, n): starts at … at + n - 1 share the smallest hash ``low``; low is null for starts that
-    repeat inside their own text."""
-    gram = min(WORD_GRAM if by_word else GRAM, width)
-
+    def equal(self, a: int, b: int, n: int) -> bool:
+        if self.first is None:
+            return self.raw[a:a + n] == self.raw[b:b + n]
+        return self.raw[self.first[a]:self.last[a + n - 1]] == self.raw[self.first[b]:self.last[b + n - 1]]
+
+
+def repeated_windows(pieces: list[bytes], bucket: list[int], known: list[bool], width: int, by_word: bool):
+    """(piece, first window, windows) of windows that stand elsewhere in their bucket too; pieces in order of their buckets.
+    Windows of ``known`` pieces are only compared with."""
+    text = Suffixes(pieces, by_word)
+    size = np.maximum(0, text.ends - text.begins - width + 1)
+    owner = np.repeat(np.arange(len(pieces)), size)
+    start = np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size) + text.begins[owner]
+    if not len(start):
+        return
+    bucket, wanted = np.array(bucket, dtype=np.int64), ~np.array(known, dtype=bool)[owner]
+    key = _mix(text.of(start, start + width) + _ODD * bucket[owner].astype(np.uint64))
+    order = np.argsort(key, kind="stable")
+    edge = np.flatnonzero(np.concatenate([[True], key[order][1:] != key[order][:-1]]))
+    class_size = np.diff(np.append(edge, len(order)))
+    class_of = np.empty(len(order), dtype=np.int64)
+    class_of[order] = np.repeat(np.arange(len(edge)), class_size)
+    open_ = wanted & (class_size[class_of] > 1)
+    while open_.any():
+        lead = np.flatnonzero(open_ & ~np.concatenate([[False], open_[:-1] & (owner[1:] == owner[:-1])]))
+        mates = edge[np.unique(class_of[lead])]
+        chosen = np.unique(np.concatenate([lead, order[mates], order[mates + 1]]))
+        s = text.sort(start[chosen], bucket[owner[chosen]])
+        group = bucket[np.searchsorted(text.ends, s, side="right")]
+        near = text.common(s[:-1], s[1:]) * (group[:-1] == group[1:])
+        for n in np.flatnonzero(near >= width).tolist():
+            if not text.equal(int(s[n]), int(s[n + 1]), int(near[n])):
+                near[n] = 0
+        reach = dict(zip(s.tolist(), np.maximum(np.append(near, 0), np.append(0, near)).tolist()))
+        for w in lead.tolist():
+            n = min(reach[int(start[w])] - width + 1, int(size[owner[w]] - (start[w] - text.begins[owner[w]])))
+            if n > 0:
+                open_[w:w + n] = False
+                yield int(owner[w]), int(start[w] - text.begins[owner[w]]), n
+            open_[w] = False  # a hash that only collided
+
+
+# ---- plans
+
+_RUN = "by_word boolean, low long, tkey binary, at int, n int"
+
+
+def keyed(docs: DataFrame) -> DataFrame:
+    """(tkey, raw) of every row: 16 bytes of the text's SHA-256, and the text (null: empty)."""
+    raw = F.coalesce(F.col("text"), F.lit(""))
+    return docs.select(F.unhex(F.substring(F.sha2(raw.cast("binary"), 256), 1, 32)).alias("tkey"), raw.alias("raw"))
+
+
+def anchor_runs(texts: DataFrame, modes) -> DataFrame:
     def start():
         def work(cols):
-            for tkey, text in zip(cols["tkey"], cols["text"]):
-                h = _hashes(text, by_word)
-                if len(h.data) < width:
-                    continue
-                inside = repeated_inside(h, h.windows(width), width)
-                if len(inside):
-                    first, n = _runs(inside - np.arange(len(inside)))
-                    for f, c in zip(inside[first].tolist(), n.tolist()):
-                        yield None, None, tkey, f, c
-                low = sliding_min(h.windows(gram), width - gram + 1)
-                at, n = _runs(low)
-                whole = h.of(at, at + n + width - 1)
-                yield from zip(low[at].view(np.int64).tolist(), whole.view(np.int64).tolist(), [tkey] * len(at), at.tolist(), n.tolist())
+            for tkey, text in zip(cols["tkey"], cols["raw"]):
+                raw = text.encode("utf-8", "surrogatepass")
+                for by_word, width in modes:
+                    for low, at, n, twice, content in runs_of(raw, width, by_word):
+                        yield by_word, low, tkey, at, n, twice, _digest(content)
 
         return work
 
-    return arrow_rows(texts, "low long, whole long, tkey binary, at int, n int", start, flush=65536)
+    return arrow_rows(texts, _RUN + ", twice boolean, whole binary", start, flush=16384)
 
 
-def _open_runs(runs: DataFrame, texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
-    """One row (h, h2, tkey, at) per window of the given runs."""
+def _contents(texts: DataFrame, chosen: DataFrame, modes) -> DataFrame:
+    """Content of the chosen runs; of runs in hot buckets the digest of every window instead (``known`` null)."""
+    widths = dict(modes)
 
     def start():
         def work(cols):
-            for tkey, text, spans in zip(cols["tkey"], cols["text"], cols["spans"]):
-                h = _hashes(text, by_word)
-                wide, head = h.windows(width), h.windows(width // 2)
-                for s in spans:
-                    a, b = s["at"], s["at"] + s["n"]
-                    yield from zip(wide[a:b].view(np.int64).tolist(), head[a:b].view(np.int64).tolist(), [tkey] * (b - a), range(a, b))
+            for tkey, text, runs in zip(cols["tkey"], cols["raw"], cols["runs"]):
+                raw, units = text.encode("utf-8", "surrogatepass"), None
+                for r in runs:
+                    by_word, at, n = r["by_word"], r["at"], r["n"]
+                    if by_word and units is None:
+                        units = word_units(raw)[1:]
+                    first, last = units if by_word else (None, None)
+                    if r["hot"]:
+                        for w in range(at, at + n):
+                            yield by_word, None, tkey, w, 1, None, _digest(_content(raw, first, last, w, widths[by_word]))
+                    else:
+                        yield by_word, r["low"], tkey, at, n, r["known"], _content(raw, first, last, at, n + widths[by_word] - 1)
 
         return work
 
-    per_text = runs.groupBy("tkey").agg(F.collect_list(F.struct("at", "n")).alias("spans"))
-    return arrow_rows(texts.join(per_text, "tkey").select("tkey", "text", "spans"), "h long, h2 long, tkey binary, at int", start, flush=65536)
-
+    per_text = chosen.groupBy("tkey").agg(F.collect_list(F.struct("by_word", "low", "at", "n", "known", "hot")).alias("runs"))
+    return arrow_rows(texts.join(per_text, "tkey"), _RUN + ", known boolean, content binary", start, flush=4096)
 
-def _spans(texts: DataFrame, width: int, by_word: bool = False) -> DataFrame:
-    """(tkey, at, n): the windows at at … at + n - 1, in bytes or words, stand elsewhere too."""
-    prints = materialize(_fingerprints(texts.select("tkey", "text"), width, by_word), "runs")
-    runs = prints.where("low is not null")
-    kinds = materialize(runs.groupBy("low", "whole").agg(F.count("*").alias("c"), F.min(F.struct("tkey", "at", "n")).alias("one")), "kinds")
-    several = kinds.groupBy("low").agg(F.count("*").alias("k")).where("k > 1").select("low")
-    windows = materialize(_open_runs(kinds.join(several, "low").select("one.tkey", "one.at", "one.n"), texts, width, by_word), "windows")
-    shared = windows.groupBy("h", "h2").agg(F.count("*").alias("c")).where("c > 1").select("h", "h2")
-    return prints.where("low is null").select("tkey", "at", "n").unionByName(
-        runs.join(kinds.where("c > 1").select("low", "whole"), ["low", "whole"]).select("tkey", "at", "n")).unionByName(
-        windows.join(shared, ["h", "h2"]).select("tkey", "at", F.lit(1).alias("n")))
 
+def _compare(contents: DataFrame, modes) -> DataFrame:
+    """(by_word, tkey, at, n): windows that stand elsewhere in their bucket too."""
+    widths = dict(modes)
 
-def _cut(texts: DataFrame, spans: DataFrame, width: int, words: int | None = None) -> DataFrame:
-    def start():
-        def work(cols):
-            for tkey, text, found in zip(cols["tkey"], cols["text"], cols["spans"]):
-                raw = text.encode("utf-8", "surrogatepass")
-                edge = np.zeros(len(raw) + 1, dtype=np.int64)
-                h = WordHashes(text) if any(s["by_word"] for s in found) else None
-                for s in found:
-                    if s["by_word"]:
-                        a, b = h.first[s["at"]], h.last[s["at"] + s["n"] + words - 2]
-                    else:
-                        a, b = s["at"], s["at"] + s["n"] + width - 1
-                    edge[a] += 1
-                    edge[b] -= 1
-                gone = np.cumsum(edge)[:-1] > 0
-                kept = np.frombuffer(raw, dtype=np.uint8)[~gone].tobytes()
-                n_spans = int(gone[0]) + int((gone[1:] & ~gone[:-1]).sum())
-                yield tkey, int(gone.sum()), n_spans, kept, hashlib.sha256(kept).hexdigest()
+    def run(batches):
+        held, weight, last = [], 0, None
 
-        return work
+        def pack(rows):
+            out = []
+            for by_word in {r[0] for r in rows}:
+                own, numbers = [r for r in rows if r[0] == by_word], {}
+                bucket = [numbers.setdefault(r[1], len(numbers)) for r in own]
+                for piece, at, n in repeated_windows([r[5] for r in own], bucket, [r[4] for r in own], widths[by_word], by_word):
+                    out.append((by_word, own[piece][2], own[piece][3] + at, n))
+            cols = list(zip(*out)) or [()] * 4
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.bool_(), pa.binary(), pa.int32(), pa.int32()))], names=["by_word", "tkey", "at", "n"])
 
+        for batch in batches:
+            for row in zip(*(batch.column(c).to_pylist() for c in ("by_word", "low", "tkey", "at", "known", "content"))):
+                if last == row[:4]:  # copies of one text
+                    continue
+                if weight > BATCH_BYTES and row[:2] != last[:2]:
+                    yield pack(held)
+                    held, weight = [], 0
+                held.append(row)
+                weight += len(row[5])
+                last = row[:4]
+        if held:
+            yield pack(held)
+
+    dealt = contents.repartition("by_word", "low").sortWithinPartitions("by_word", "low", "tkey", "at")
+    return dealt.mapInArrow(run, "by_word boolean, tkey binary, at int, n int")
+
+
+def repeat_spans(docs: DataFrame, scratch: Scratch, width: int = WIDTH, words: int | None = None) -> DataFrame:
+    """(by_word, tkey, at, n), written in the shared folder: the windows at at … at + n - 1 of the texts with this key stand
+    elsewhere too."""
+    modes = [(False, width)] + ([(True, words)] if words else [])
+    enough = F.octet_length("raw") >= (min(width, 2 * words - 1) if words else width)
+    texts = keyed(docs).where(enough)
+    runs = scratch.write(anchor_runs(texts, modes), "runs")
+    bucket = ["by_word", "low"]
+    met = runs.groupBy(*bucket).agg(F.count("*").alias("c"), F.max("twice").alias("any_twice")).where("c > 1 or any_twice").select(*bucket)
+    met = scratch.write(runs.join(met, bucket, "left_semi"), "met")
+    kinds = scratch.write(met.groupBy(*bucket, "whole").agg(F.count("*").alias("c"), F.min(F.struct("tkey", "at", "n")).alias("one"), F.max("twice").alias("twice")), "kinds")
+    several = kinds.groupBy(*bucket).agg(F.count("*").alias("k"), F.max("twice").alias("any_twice"), F.max(F.col("c") == 1).alias("any_new"),
+                                         F.sum(F.col("one.n") + width).alias("size")).where("any_new and (k > 1 or any_twice)")
+    chosen = kinds.join(several.select(*bucket, (F.col("size") > HOT_BYTES).alias("hot")), bucket).select(
+        *bucket, "one.tkey", "one.at", "one.n", (F.col("c") > 1).alias("known"), "hot")
+    contents = scratch.write(_contents(texts, chosen, modes), "contents")
+    hot = contents.where("known is null").select("by_word", "content", "tkey", "at")
+    shared = hot.groupBy("by_word", "content").agg(F.count("*").alias("c")).where("c > 1").select("by_word", "content")
+    out = met.join(kinds.where("c > 1").select(*bucket, "whole"), [*bucket, "whole"], "left_semi").select("by_word", "tkey", "at", "n").unionByName(
+        _compare(contents.where("known is not null"), modes)).unionByName(
+        hot.join(shared, ["by_word", "content"], "left_semi").select("by_word", "tkey", "at", F.lit(1).alias("n")))
+    spans = scratch.write(out.distinct(), "spans")
+    scratch.clear(but=1)
+    return spans
+
+
+def _kept(raw: bytes, spans, width: int, words: int | None):
+    """(bytes removed, maximal removed stretches, remaining bytes)."""
+    if not spans:
+        return 0, 0, raw
+    units = word_units(raw)[1:] if any(s["by_word"] for s in spans) else None
+    cuts = sorted((int(units[0][s["at"]]), int(units[1][s["at"] + s["n"] + words - 2])) if s["by_word"] else (s["at"], s["at"] + s["n"] + width - 1) for s in spans)
+    out, done, gone, stretches = [], 0, 0, 0
+    for a, b in cuts:
+        if a > done or not stretches:
+            out.append(raw[done:a])
+            stretches += 1
+        gone += max(0, b - max(a, done))
+        done = max(done, b)
+    return gone, stretches, b"".join(out) + raw[done:]
+
+
+def _with_spans(rows: DataFrame, spans: DataFrame) -> DataFrame:
     per_text = spans.groupBy("tkey").agg(F.collect_list(F.struct("at", "n", "by_word")).alias("spans"))
-    return arrow_rows(texts.join(per_text, "tkey").select("tkey", "text", "spans"), "tkey binary, n_removed long, n_spans long, kept binary, kept_sha256 string", start)
-
+    return rows.join(per_text, "tkey", "left")
 
-def with_key(docs: DataFrame) -> DataFrame:
-    return docs.withColumn("sha", F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256)).withColumn("tkey", F.unhex(F.substring("sha", 1, 32)))
 
+def repeat_report(docs: DataFrame, width: int = WIDTH) -> DataFrame:
+    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256), one row per row of ``docs``."""
+    spans = repeat_spans(docs, Scratch(docs.sparkSession), width)
 
-def repeats(docs: DataFrame, width: int = WIDTH, words: int | None = None) -> DataFrame:
-    """(tkey, n_removed, n_spans, kept, kept_sha256) of every distinct text that loses bytes, written in the shared folder."""
-    enough = F.octet_length("text") >= width
-    if words:
-        enough |= F.regexp_count("text", F.lit(_WORD.pattern)) >= words
-    long_texts = with_key(texts_of(docs)).where(enough)
-    texts = materialize(long_texts.groupBy("tkey").agg(F.first("text").alias("text"), F.count("*").alias("copies")), "texts")
-    spans = _spans(texts, width).withColumn("by_word", F.lit(False))
-    if words:
-        spans = spans.unionByName(_spans(texts, words, True).withColumn("by_word", F.lit(True)))
-    once = texts.where("copies = 1")
-    whole = texts.where("copies > 1").select("tkey", F.octet_length("text").cast("long").alias("n_removed"), F.lit(1).cast("long").alias("n_spans"),
-                                             F.lit(b"").alias("kept"), F.sha2(F.lit(b""), 256).alias("kept_sha256"))
-    return materialize(_cut(once, spans, width, words).unionByName(whole), "repeats")
+    def start():
+        def work(cols):
+            for doc_id, text, found in zip(cols["doc_id"], cols["raw"], cols["spans"]):
+                raw = text.encode("utf-8", "surrogatepass")
+                gone, stretches, kept = _kept(raw, found, width, None)
+                yield doc_id, len(raw), gone, stretches, hashlib.sha256(kept).hexdigest()
 
+        return work
 
-def repeat_report(docs: DataFrame, width: int = WIDTH) -> DataFrame:
-    """(doc_id, n_bytes, n_removed, n_spans, kept_sha256), one row per row of ``docs``."""
-    found = repeats(docs, width).select("tkey", "n_removed", "n_spans", "kept_sha256", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-    rows = with_key(texts_of(docs)).select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), "sha", "tkey",
-                                           F.pmod(F.xxhash64("doc_id"), F.lit(SALTS)).cast("int").alias("salt"))
-    return rows.join(found, ["tkey", "salt"], "left").select(
-        "doc_id", "n_bytes", F.coalesce("n_removed", F.lit(0)).cast("long").alias("n_removed"), F.coalesce("n_spans", F.lit(0)).cast("long").alias("n_spans"),
-        F.coalesce("kept_sha256", "sha").alias("kept_sha256"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("raw"))
+    rows = rows.withColumn("tkey", F.unhex(F.substring(F.sha2(F.col("raw").cast("binary"), 256), 1, 32)))
+    return arrow_rows(_with_spans(rows, spans), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string", start)
 
 
 def remove_repeats(docs: DataFrame, width: int = WIDTH, words: int | None = None) -> DataFrame:
     """``docs`` with the repeated bytes cut out of ``text``; pieces of a character that a cut leaves are dropped."""
-    found = repeats(docs, width, words).select(F.col("tkey").alias("_tkey"), F.col("kept").cast("string").alias("_raw"))
-    keyed = docs.withColumn("_tkey", F.unhex(F.substring(F.sha2(F.coalesce(F.col("text"), F.lit("")).cast("binary"), 256), 1, 32)))
-    return keyed.join(found, "_tkey", "left").withColumn("text", F.coalesce(F.regexp_replace(F.make_valid_utf8("_raw"), "�", ""), F.col("text"))).select(docs.columns)
+    spans = repeat_spans(docs, Scratch(docs.sparkSession), width, words)
+
+    def run(batches):
+        for batch in batches:
+            kept = []
+            for text, found in zip(batch.column("raw").to_pylist(), batch.column("spans").to_pylist()):
+                kept.append(_kept(text.encode("utf-8", "surrogatepass"), found, width, words)[2].decode("utf-8", "ignore") if found else text)
+            yield pa.RecordBatch.from_arrays([batch.column("whole_row"), pa.array(kept, pa.string())], names=["whole_row", "kept"])
+
+    raw = F.coalesce(F.col("text"), F.lit(""))
+    rows = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("whole_row"), F.col("text").alias("raw"), F.unhex(F.substring(F.sha2(raw.cast("binary"), 256), 1, 32)).alias("tkey"))
+    joined = _with_spans(rows, spans).select("whole_row", "raw", "spans")
+    schema = joined.select("whole_row", F.col("raw").alias("kept")).schema
+    return joined.mapInArrow(run, schema).select(*(F.col("kept").alias(c) if c == "text" else F.col(f"whole_row.`{c}`").alias(c) for c in docs.columns))

@@ -43,9 +43,64 @@ def test_suffix_dedup(docs, empty):
 
 
 def test_suffix_order():
-    h = suffix_dedup.Hashes(b"banana bandana banana " * 3)
-    raw = h.data.tobytes()
-    assert h.sort_suffixes(np.arange(len(raw))).tolist() == sorted(range(len(raw)), key=lambda n: raw[n:])
+    pieces = [b"banana bandana banana " * 3, b"", b"bandana", b"zz" * 9]
+    text = suffix_dedup.Suffixes(pieces, False)
+    group = np.array([0] * len(pieces[0]) + [1] * (len(text.raw) - len(pieces[0])))
+    got = text.sort(np.arange(len(text.raw)), group)
+    want = sorted(range(len(text.raw)), key=lambda n: (group[n], text.raw[n:text.end_of[n]]))
+    assert [text.raw[n:text.end_of[n]] for n in got] == [text.raw[n:text.end_of[n]] for n in want]
+    words = suffix_dedup.Suffixes([b"to be or not to be", b"not to be"], True)
+    assert words.common(np.array([3, 0]), np.array([6, 4])).tolist() == [3, 2]
+    a, b = (np.random.default_rng(n).integers(0, (1 << 61) - 1, 2000, dtype=np.uint64) for n in (1, 2))
+    assert suffix_dedup._times(a, b).tolist() == [int(x) * int(y) % ((1 << 61) - 1) for x, y in zip(a, b)]
+
+
+def cut_plainly(texts, width):
+    """Plain version: one table of all windows; (removed, stretches, kept) per text."""
+    seen = Counter(t[n:n + width] for t in texts for n in range(len(t) - width + 1))
+    for t in texts:
+        gone = np.zeros(len(t) + 1, bool)
+        for n in range(len(t) - width + 1):
+            if seen[t[n:n + width]] > 1:
+                gone[n:n + width] = True
+        yield int(gone.sum()), int((gone[1:] & ~gone[:-1]).sum() + gone[0]), np.frombuffer(t, np.uint8)[~gone[:-1]].tobytes()
+
+
+@pytest.mark.parametrize("hot", [False, True])
+def test_suffix_dedup_random(spark, hot, monkeypatch):
+    """Texts over few letters, periodic ones, cut-and-pasted ones, a long one and repeated rows and ids; all buckets opened if ``hot``."""
+    if hot:
+        monkeypatch.setattr(suffix_dedup, "HOT_BYTES", 0)
+    rng = np.random.default_rng(5)
+    letters = ["".join(rng.choice(list("abcd"), 900)) for _ in range(6)]
+    texts = ["z" * 1500, "ab" * 700, "abc" * 500 + "ab", *letters]
+    for _ in range(40):
+        a, b, c = rng.integers(0, 6, 3)
+        x, y, z = rng.integers(0, 900, 3)
+        texts.append(letters[a][:x] + letters[b][y:] + "é" + letters[c][z:])
+    texts += [letters[0][100:500], letters[0][100:500], letters[1][3:403] + "\ufffd", "".join(rng.choice(list("abcdefgh"), 50_000)) + letters[2], "", None]
+    got = suffix_dedup.repeat_report(spark.createDataFrame([(n // 2 if n % 7 else None, t) for n, t in enumerate(texts)], "doc_id long, text string")).collect()
+    raw = [(t or "").encode() for t in texts]
+    want = [(len(t), n, s, hashlib.sha256(kept).hexdigest()) for t, (n, s, kept) in zip(raw, cut_plainly(raw, 400))]
+    assert Counter((r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == Counter(want)
+
+
+def test_suffix_dedup_no_collision_by_construction(spark):
+    """A string and its complement whose polynomial hashes modulo 2**64 agree for any base are still told apart."""
+    bits = [bin(n).count("1") % 2 for n in range(2048)]
+    rows = [(1, "".join("ab"[v] for v in bits)), (2, "".join("ba"[v] for v in bits))]
+    got = suffix_dedup.repeat_report(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    want = [n for n, _, _ in cut_plainly([t.encode() for _, t in rows], 400)]
+    assert [r.n_removed for r in sorted(got)] == want
+
+
+def test_remove_repeats_keeps_replacement_characters(spark):
+    shared = "é" * 250
+    rows = [(1, f"\ufffd start {shared} end \ufffd", 1, b"k", None), (2, f"other {shared}", 2, b"k", "v"), (3, None, 3, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, tkey int, raw binary, spans string")
+    got = {r.doc_id: r for r in suffix_dedup.remove_repeats(docs).collect()}
+    assert got[1].text == "\ufffd start end \ufffd" and got[2].text == "other"
+    assert got[1].tkey == 1 and got[2].spans == "v" and got[3].text is None
 
 
 def test_byte_bpe(docs, empty):
