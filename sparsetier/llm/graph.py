@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import materialize
+from sparsetier.llm.common import Scratch
 
 
 def _star(edges: DataFrame, large: bool) -> DataFrame:
@@ -21,11 +21,14 @@ def _star(edges: DataFrame, large: bool) -> DataFrame:
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(node, component) for every node of ``edges`` (u, v long) that is not its component's smallest node."""
-    edges = materialize(edges.where("u <> v").distinct(), "cc_edges")
+    """(node, component) for every node of ``edges`` (u, v long) that is not its component's smallest node. Of the tables
+    written on the way only the last stays."""
+    scratch = Scratch(edges.sparkSession)
+    edges = scratch.write(edges.where("u <> v").distinct(), "cc_edges")
     mark = None
     while True:
-        edges = materialize(_star(_star(edges, True), False), "cc_edges")
+        edges = scratch.write(_star(_star(edges, True), False), "cc_edges")
+        scratch.clear(but=1)
         now = edges.agg(F.count("*"), F.expr("bit_xor(xxhash64(u, v))")).first()
         if now == mark:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("component"))
