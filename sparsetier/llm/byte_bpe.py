@@ -1,28 +1,38 @@
 """Byte-level BPE encoding and decoding by a global shuffle of distinct words.
 
-Documents are read in blocks of bounded size. A block emits its distinct pre-tokens once, with a local number, and per
-document the sequence of local numbers (the positions), packed with zstandard. Words meet in one exchange where each
-distinct word of the corpus is encoded once; a frequent word arrives at most once per block, so no key is
-hot. The ids go back to their blocks, where documents are put together by position. Decoding looks ids up in the
-token-byte table (one row per rank: bounded by the vocabulary).
+Documents are read in blocks of bounded size. In a block every distinct pre-token ("word") has a number; a document is the sequence of
+its words' numbers, so position is kept by order. Words that are one token of the vocabulary have that token as their number. The other
+distinct words of a block leave it once, dealt by their hash to word partitions, where each word is encoded once and held for
+the blocks that follow; its ids go back to the blocks and documents are put together by position. Blocks, words and ids travel packed: one
+row for many, no row per occurrence. The exchange of the blocks is used by both sides of the join and written once.
 
-Null or empty text: no tokens. Repeated rows and repeated or null doc_ids each give their own row.
+Decoding joins the ids, one row each, with the token-byte table (one row per rank: bounded by the vocabulary, so broadcast) and
+concatenates by position inside the same task.
+
+Null or empty text: no tokens. Repeated rows and repeated or null doc_ids each give their own row. Very long texts are a
+block of their own. Other input columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+import re
 
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
 import zstandard
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from sparsetier.llm.common import arrow_rows, materialize, texts_of
+from sparsetier.llm.common import arrow_rows, texts_of
 
-BLOCK_CHARS = 4 << 20
+BLOCK_CHARS, ROW_TOKENS, HELD_WORDS = 16 << 20, 1 << 17, 1 << 20
+#: White space of Unicode and of Python; a blank between two other characters always starts a pre-token.
+_SPACES = "".join(c for c in map(chr, range(0x3001)) if c.isspace() and c != " ")
+_GAP = re.compile(r"(?<=\S) (?=\S)")
+_PACKED = "block long, doc_ids array<long>, lengths array<int>, seq binary, part int, words binary"
 
 
 def load_ranks(name: str) -> dict[bytes, int]:
@@ -30,108 +40,253 @@ def load_ranks(name: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in (line.split() for line in lines if line.strip())}
 
 
-def _blocks(texts: DataFrame, block_chars: int) -> DataFrame:
-    """Rows (block, code, word, doc_id, seq): words have a code, documents a packed sequence of codes."""
-    schema = "block string, code int, word binary, doc_id long, seq binary"
+def pieces_of(text: str) -> list[str]:
+    """The text cut at single blanks between other characters (these blanks go)."""
+    if "  " in text or text[:1] == " " or text[-1:] == " " or any(f"{c} " in text or f" {c}" in text for c in _SPACES if c in text):
+        return _GAP.split(text)
+    return text.split(" ")
+
+
+def splitter():
+    """The pre-token pattern with Unicode white space spelled out, as the tiktoken library reads it."""
+    import regex
+
+    spelled = public_tokenizers.PATTERN.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")
+    return regex.compile(spelled).findall
+
+
+def pack_list(items: list[bytes], press) -> bytes:
+    sizes = np.array([len(items), *map(len, items)], dtype="<u4")
+    return press(sizes.tobytes() + b"".join(items))
+
+
+def unpack_list(packed: bytes, expand) -> list[bytes]:
+    plain = expand(packed)
+    n = int.from_bytes(plain[:4], "little")
+    ends = (np.cumsum(np.frombuffer(plain, "<u4", n, 4)) + 4 + 4 * n).tolist()
+    return [plain[a:b] for a, b in zip([4 + 4 * n, *ends], ends)]
+
+
+def _planes(numbers: np.ndarray) -> bytes:
+    """The low halves of all numbers, then the high halves, which press to little."""
+    return (numbers & 0xFFFF).astype("<u2").tobytes() + (numbers >> 16).astype("<u2").tobytes()
+
+
+def _from_planes(data: bytes) -> np.ndarray:
+    halves = np.frombuffer(data, "<u2").astype(np.uint32).reshape(2, -1)
+    return halves[0] | halves[1] << np.uint32(16)
+
+
+class _Words(dict):
+    """Pieces of text as the bytes of their words' numbers: a token id, or ``base`` plus the place in ``found``."""
+
+    def __init__(self, lead: str, split, ranks: dict[bytes, int], numbers: dict[bytes, int], base: int):
+        self.lead, self.split, self.ranks, self.numbers, self.base = lead, split, ranks, numbers, base
+
+    def __missing__(self, piece: str) -> bytes:
+        out = []
+        for word in self.split(self.lead + piece):
+            raw = word.encode()
+            n = self.ranks.get(raw)
+            out.append(self.base + self.numbers.setdefault(raw, len(self.numbers)) if n is None else n)
+        self[piece] = packed = np.array(out, dtype="<u4").tobytes()
+        return packed
+
+
+def _blocks(texts: DataFrame, ranks_name: str, parts: int, block_chars: int) -> DataFrame:
+    """Rows of documents (doc_ids, lengths, seq) and rows of words (part, words) of each block. Words are numbered in the order of
+    (part, word), from the size of the vocabulary on."""
 
     def run(batches):
-        import regex
+        import xxhash
         from pyspark import TaskContext
 
-        split = regex.compile(public_tokenizers.PATTERN.replace(r"[^\s", r"[^\p{White_Space}").replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
-        press = zstandard.ZstdCompressor(level=1).compress
-        part, number = TaskContext.get().partitionId(), 0
-        codes: dict[str, int] = {}
-        rows: list[tuple] = []
-        size = 0
-
-        def pack():
-            words = list(codes)
-            n, d = len(words), len(rows)
-            return pa.RecordBatch.from_arrays([
-                pa.array([f"{part}-{number}"] * (n + d)), pa.array(list(range(n)) + [None] * d, pa.int32()),
-                pa.array([w.encode() for w in words] + [None] * d, pa.binary()),
-                pa.array([None] * n + [r[0] for r in rows], pa.int64()), pa.array([None] * n + [r[1] for r in rows], pa.binary()),
-            ], names=["block", "code", "word", "doc_id", "seq"])
-
+        split, ranks = splitter(), load_ranks(ranks_name)
+        base = max(ranks.values()) + 1
+        press = zstandard.ZstdCompressor(level=3).compress
+        number = TaskContext.get().partitionId() << 32
+        names = ["block", "doc_ids", "lengths", "seq", "part", "words"]
+        kinds = [pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int32()), pa.binary(), pa.int32(), pa.binary()]
+
+        def fresh():
+            numbers: dict[bytes, int] = {}
+            return numbers, _Words("", split, ranks, numbers, base), _Words(" ", split, ranks, numbers, base), [], 0
+
+        def pack(columns):
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], names=names)
+
+        def finish():
+            dealt = sorted((xxhash.xxh3_64_intdigest(w) % parts, w, n) for w, n in numbers.items())
+            place = np.zeros(base + len(dealt), dtype=np.uint32)
+            place[:base] = np.arange(base)
+            place[base + np.array([n for _, _, n in dealt], dtype=np.int64)] = base + np.arange(len(dealt))
+            own: dict[int, list[bytes]] = {}
+            for part, word, _ in dealt:
+                own.setdefault(part, []).append(word)
+            n = len(own)
+            yield pack([[number] * n, [None] * n, [None] * n, [None] * n, list(own), [pack_list(ws, press) for ws in own.values()]])
+            at = 0
+            while at < len(docs):
+                held, stop = 0, at
+                while stop < len(docs) and (stop == at or held < ROW_TOKENS) and stop - at < 1024:
+                    held += len(docs[stop][1]) // 4
+                    stop += 1
+                row = docs[at:stop]
+                seq = place[np.frombuffer(b"".join(s for _, s in row), "<u4")]
+                yield pack([[number], [[d for d, _ in row]], [[len(s) // 4 for _, s in row]], [press(_planes(seq))], [None], [None]])
+                at = stop
+
+        numbers, first, rest, docs, size = fresh()
         for batch in batches:
             for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text")):
                 text = text.as_py()
-                seq = [codes.setdefault(w, len(codes)) for w in split(text)]
-                rows.append((doc_id, press(np.array(seq, dtype="<u4").tobytes())))
+                pieces = pieces_of(text)
+                docs.append((doc_id, first[pieces[0]] + b"".join(map(rest.__getitem__, pieces[1:]))))
                 size += len(text) + 64
                 if size >= block_chars:
-                    yield pack()
-                    codes, rows, size, number = {}, [], 0, number + 1
-        if rows:
-            yield pack()
+                    yield from finish()
+                    number += 1
+                    numbers, first, rest, docs, size = fresh()
+        if docs:
+            yield from finish()
 
-    return texts.mapInArrow(run, schema)
+    return texts.mapInArrow(run, _PACKED)
 
 
 def _encode_words(words: DataFrame, ranks_name: str) -> DataFrame:
-    """Bring equal words together and encode each run of equal words once."""
+    """(block, part, ids): the ids of each row's words, every distinct word of a part encoded once and held (the table of held
+    words starts anew at ``HELD_WORDS``)."""
 
     def start():
         import tiktoken
 
         coder = tiktoken.Encoding("ranks", pat_str=public_tokenizers.PATTERN, mergeable_ranks=load_ranks(ranks_name), special_tokens={})
-        last = [None, b""]
+        press, expand = zstandard.ZstdCompressor(level=3).compress, zstandard.ZstdDecompressor().decompress
+
+        class Held(dict):
+            def __missing__(self, word):
+                self[word] = ids = np.array(coder._encode_single_piece(word), dtype="<u4").tobytes()
+                return ids
+
+        held = Held()
 
         def work(cols):
-            for block, code, word in zip(cols["block"], cols["code"], cols["word"]):
-                if word != last[0]:
-                    last[:] = word, np.array(coder._encode_single_piece(word), dtype="<u4").tobytes()
-                yield block, code, last[1]
+            for block, part, packed in zip(cols["block"], cols["part"], cols["words"]):
+                if len(held) > HELD_WORDS:
+                    held.clear()
+                ids = list(map(held.__getitem__, unpack_list(packed, expand)))
+                counts = np.array([len(x) // 4 for x in ids], dtype="<u4")
+                yield block, part, press(counts.size.to_bytes(4, "little") + _planes(counts) + _planes(np.frombuffer(b"".join(ids), "<u4")))
 
         return work
 
-    together = words.repartition("word").sortWithinPartitions("word")
-    return arrow_rows(together, "block string, code int, ids binary", start)
+    return arrow_rows(words, "block long, part int, ids binary", start)
+
+
+def _word_rows(blocks: DataFrame) -> DataFrame:
+    def run(batches):
+        for batch in batches:
+            yield batch.filter(batch.column("part").is_valid()).select(["block", "part", "words"])
+
+    return blocks.mapInArrow(run, "block long, part int, words binary")
 
 
 def encode(docs: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken", block_chars: int = BLOCK_CHARS) -> DataFrame:
-    """(doc_id, ids binary: little-endian unsigned 32-bit ids)."""
-    rows = materialize(_blocks(texts_of(docs), block_chars), "bpe_blocks")
-    lexicon = _encode_words(rows.where("word is not null").select("block", "code", "word"), ranks_name)
-    sequences = rows.where("seq is not null").select("block", "doc_id", "seq")
+    """(doc_id, ids array<int>)."""
+    parts = 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    blocks = _blocks(texts_of(docs), ranks_name, parts, block_chars).repartition("block")
+    lexicon = _encode_words(_word_rows(blocks).repartition("part"), ranks_name)
+    base = max(load_ranks(ranks_name).values()) + 1
 
     def assemble(left: pa.Table, right: pa.Table) -> pa.Table:
         expand = zstandard.ZstdDecompressor().decompress
-        code = right.column("code").to_numpy()
-        pieces = [None] * len(code)
-        for c, ids in zip(code, right.column("ids").to_pylist()):
-            pieces[c] = ids
-        out = [b"".join(map(pieces.__getitem__, np.frombuffer(expand(s), dtype="<u4").tolist())) for s in left.column("seq").to_pylist()]
-        return pa.table({"doc_id": left.column("doc_id"), "ids": pa.array(out, pa.binary())})
-
-    return sequences.groupBy("block").cogroup(lexicon.groupBy("block")).applyInArrow(assemble, "doc_id long, ids binary")
+        counts, ids = [], []
+        for _, packed in sorted(zip(right.column("part").to_pylist(), right.column("ids").to_pylist())):
+            plain = expand(packed)
+            n = int.from_bytes(plain[:4], "little")
+            counts.append(_from_planes(plain[4:4 + 4 * n]))
+            ids.append(_from_planes(plain[4 + 4 * n:]))
+        counts = np.concatenate([np.ones(base, dtype=np.int64), *counts]).astype(np.int64)
+        ids = np.concatenate([np.arange(base, dtype=np.uint32), *ids])
+        begin = np.cumsum(counts) - counts
+        doc_ids, sizes, out = [], [], []
+        for own, lengths, seq in zip(left.column("doc_ids").to_pylist(), left.column("lengths").to_pylist(), left.column("seq").to_pylist()):
+            if own is None:
+                continue
+            words = _from_planes(expand(seq))
+            n = counts[words]
+            ends = np.cumsum(n)
+            places = np.repeat(begin[words] - (ends - n), n) + np.arange(ends[-1] if len(ends) else 0)
+            out.append(ids[places])
+            doc_ids.extend(own)
+            last = np.cumsum(lengths)
+            edges = np.concatenate([[0], ends])[np.concatenate([[0], last])]
+            sizes.append(np.diff(edges))
+        flat = np.concatenate(out) if out else np.zeros(0, np.uint32)
+        offsets = np.concatenate([[0], np.cumsum(np.concatenate(sizes))]) if sizes else np.zeros(1)
+        lists = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(flat.astype(np.int32)))
+        return pa.table({"doc_id": pa.array(doc_ids, pa.int64()), "ids": lists})
+
+    return blocks.groupBy("block").cogroup(lexicon.groupBy("block")).applyInArrow(assemble, "doc_id long, ids array<int>")
+
+
+def token_table(spark, ranks_name: str) -> DataFrame:
+    """(token, piece): the bytes of every rank."""
+    return spark.createDataFrame([(rank, bytearray(token)) for token, rank in load_ranks(ranks_name).items()], "token int, piece binary")
 
 
 def decode(encoded: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken") -> DataFrame:
-    """Add ``data`` (the decoded bytes) to rows with ``ids``; other columns are dropped but doc_id."""
+    """(doc_id, ids, data): rows with ``ids`` and their decoded bytes."""
+    placed = encoded.select(F.monotonically_increasing_id().alias("place"), "doc_id", "ids")
+    rows = placed.select("place", "doc_id", F.explode_outer("ids").alias("token"))
+    joined = rows.join(F.broadcast(token_table(encoded.sparkSession, ranks_name)), "token", "left").select("place", "doc_id", "token", "piece")
 
-    def start():
-        token_bytes = {rank: token for token, rank in load_ranks(ranks_name).items()}
-
-        def work(cols):
-            for doc_id, ids in zip(cols["doc_id"], cols["ids"]):
-                yield doc_id, ids, b"".join(map(token_bytes.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
+    def run(batches):
+        held: list = []  # (doc_id, token arrays, byte strings) of the document that may go on
 
-        return work
+        def pack(docs):
+            ids = [np.concatenate(t) for _, t, _ in docs]
+            offsets = np.concatenate([[0], np.cumsum([len(t) for t in ids])]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids).astype(np.int32)))
+            return pa.RecordBatch.from_arrays([pa.array([d for d, _, _ in docs], pa.int64()), lists, pa.array([b"".join(p) for _, _, p in docs], pa.binary())], names=["doc_id", "ids", "data"])
 
-    return arrow_rows(encoded, "doc_id long, ids binary, data binary", start)
+        last = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            place = batch.column("place").to_numpy()
+            token = batch.column("token")
+            numbers = token.fill_null(0).to_numpy()
+            piece = batch.column("piece").fill_null(b"").cast(pa.large_binary())
+            ends = np.frombuffer(piece.buffers()[1], "<i8", len(piece) + 1, 8 * piece.offset)
+            data = piece.buffers()[2]
+            data = b"" if data is None else data.to_pybytes()
+            edges = np.flatnonzero(np.concatenate([[True], place[1:] != place[:-1], [True]])).tolist()
+            done = []
+            for a, b in zip(edges, edges[1:]):
+                if place[a] != last:
+                    done.extend(held)
+                    held, last = [(batch.column("doc_id")[a].as_py(), [], [])], place[a]
+                held[0][1].append(numbers[a:b] if token[a].is_valid else numbers[:0])
+                held[0][2].append(data[ends[a]:ends[b]])
+            if done:
+                yield pack(done)
+        if held:
+            yield pack(held)
+
+    return joined.mapInArrow(run, "doc_id long, ids array<int>, data binary")
 
 
 def digests(decoded: DataFrame) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of encoded and decoded documents."""
 
-    def start():
-        def work(cols):
-            for doc_id, ids, data in zip(cols["doc_id"], cols["ids"], cols["data"]):
-                numbers = np.frombuffer(ids, dtype="<u4").tolist()
-                yield doc_id, len(numbers), hashlib.sha256(" ".join(map(str, numbers)).encode()).hexdigest(), hashlib.sha256(data).hexdigest()
-
-        return work
-
-    return arrow_rows(decoded, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string", start)
+    def run(batches):
+        for batch in batches:
+            lists, out = batch.column("ids"), []
+            ends, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
+            for doc_id, a, b, data in zip(batch.column("doc_id").to_pylist(), ends, ends[1:], batch.column("data").to_pylist()):
+                out.append((doc_id, int(b - a), hashlib.sha256(" ".join(map(str, flat[a:b].tolist())).encode()).hexdigest(), hashlib.sha256(data).hexdigest()))
+            cols = list(zip(*out)) or [()] * 4
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), pa.string()))], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
+
+    return decoded.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
