@@ -1,7 +1,13 @@
 """Token-id files: one zstandard dictionary for all documents, each document compressed by itself.
 
 The dictionary is trained on the ids of a bounded sample (``sample`` documents with the smallest hash of doc_id, at most
-``sample_ids`` ids of each); it only affects size, never content. Documents are ranged by (doc_id, hash of the
+``sample_ids`` ids of each, from the first 8 * ``sample_ids`` characters); it only affects size, never content. The sample is chosen by
+doc_id alone and its texts are fetched after.
+
+The pre-tokenizers served here never join characters across white space, so a text's ids are those of its pieces between
+white space, one after the other. Each task holds the ids of pieces it has met (at most ``HELD_PIECES``) and asks the library for new
+ones only. Texts with the control characters U+001C to U+001F, which Python counts as white space and the library does
+not, and vocabularies that keep white space are given to the library whole. Documents are ranged by (doc_id, hash of the
 text) and written as shards of bounded size. A shard is bytes: magic, dictionary hash, number of documents, tokens before it in
 its range, then the offset index (doc_id, null flag, offset, length, n_tokens) and the frames, so that one short
 document can be read alone. Shards are stored as a binary column of Parquet, since only Spark's writers reach every
@@ -11,6 +17,7 @@ shared store. Null or empty text: the end id alone. A null doc_id sorts first; r
 from __future__ import annotations
 
 import hashlib
+import json
 import os
 import struct
 import zlib
@@ -26,6 +33,8 @@ from sparsetier.llm.common import arrow_rows, materialize, texts_of
 
 MAGIC = b"TIDS0001"
 _HEAD = "<8s32sIQ"
+HELD_PIECES = 1 << 19
+_CONTROL = ("\x1c", "\x1d", "\x1e", "\x1f")
 _ENTRY = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("offset", "<u8"), ("length", "<u4"), ("n_tokens", "<u4")])
 
 
@@ -39,10 +48,42 @@ def _tokenizer(name):
     return tok
 
 
+def drops_white_space(tok) -> bool:
+    """Whether the pre-tokenizer's first step keeps only matches of a pattern without white space, so that pieces between white space
+    are independent (lower-casing and composition of characters never reach across a blank)."""
+    shape = json.loads(tok.to_str())
+    first = (shape.get("pre_tokenizer") or {}).get("pretokenizers", [{}])[0]
+    steps = {n["type"] for n in (shape.get("normalizer") or {}).get("normalizers", [])}
+    return first.get("type") == "Split" and first.get("behavior") == "Removed" and first.get("invert") is True and steps <= {"NFC", "Replace", "Lowercase"}
+
+
+class PieceEncoder:
+    """Ids (little-endian unsigned 32-bit) of texts, by pieces met before where that is exact."""
+
+    def __init__(self, name: str):
+        self.tok, self.held = _tokenizer(name), {}
+        self.by_piece = drops_white_space(self.tok)
+
+    def _ask(self, texts: list[str]) -> list[bytes]:
+        return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def __call__(self, texts: list[str]) -> list[bytes]:
+        if not self.by_piece:
+            return self._ask(texts)
+        pieces = [None if any(c in t for c in _CONTROL) else t.split() for t in texts]
+        if len(self.held) > HELD_PIECES:
+            self.held.clear()
+        new = list({p for own in pieces if own for p in own} - self.held.keys())
+        for at in range(0, len(new), 1024):
+            self.held.update(zip(new[at:at + 1024], self._ask(new[at:at + 1024])))
+        return [self._ask([t])[0] if own is None else b"".join(map(self.held.__getitem__, own)) for t, own in zip(texts, pieces)]
+
+
 def train_dictionary(texts: DataFrame, name: str, end_id: int, sample: int = 256, sample_ids: int = 1 << 14, size: int = 1 << 15) -> bytes:
-    rows = texts.select("doc_id", F.substring("text", 1, 8 * sample_ids).alias("text"), F.xxhash64("doc_id").alias("h")).orderBy("h", "doc_id", "text").limit(sample).collect()
-    tok = _tokenizer(name)
-    arrays = [np.array(tok.encode(r.text, add_special_tokens=False).ids[:sample_ids] + [end_id], dtype="<u4").tobytes() for r in rows]
+    chosen = texts.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
+    rows = texts.join(F.broadcast(chosen), "doc_id").select(F.substring("text", 1, 8 * sample_ids).alias("text")).limit(sample).collect()
+    encode, end = PieceEncoder(name), np.array([end_id], dtype="<u4").tobytes()
+    arrays = sorted(ids[:4 * sample_ids] + end for ids in encode([r.text for r in rows]))
     try:
         return zstandard.train_dictionary(size, arrays).as_bytes()
     except zstandard.ZstdError:  # too few samples to train on
@@ -58,7 +99,7 @@ def write_shards(docs: DataFrame, name: str = "word_bpe_49k.json", end_id: int =
     def run(batches):
         from pyspark import TaskContext
 
-        tok = _tokenizer(name)
+        encode, end = PieceEncoder(name), np.array([end_id], dtype="<u4").tobytes()
         press = zstandard.ZstdCompressor(level=3, dict_data=zstandard.ZstdCompressionDict(dictionary)).compress
         part, shard, before = TaskContext.get().partitionId(), 0, 0
         index, frames, size, tokens = [], [], 0, 0
@@ -70,13 +111,12 @@ def write_shards(docs: DataFrame, name: str = "word_bpe_49k.json", end_id: int =
         for batch in batches:
             for at in range(0, batch.num_rows, 64):
                 piece = batch.slice(at, 64).to_pydict()
-                for doc_id, coded in zip(piece["doc_id"], tok.encode_batch_fast(piece["text"], add_special_tokens=False)):
-                    ids = np.array(coded.ids + [end_id], dtype="<u4")
-                    frame = press(ids.tobytes())
-                    index.append((doc_id or 0, doc_id is None, size, len(frame), len(ids)))
+                for doc_id, ids in zip(piece["doc_id"], encode(piece["text"])):
+                    frame = press(ids + end)
+                    index.append((doc_id or 0, doc_id is None, size, len(frame), len(ids) // 4 + 1))
                     frames.append(frame)
                     size += len(frame)
-                    tokens += len(ids)
+                    tokens += len(ids) // 4 + 1
                     if size + len(index) * _ENTRY.itemsize >= shard_bytes:
                         yield pack()
                         before, shard = before + tokens, shard + 1
