@@ -11,8 +11,10 @@ A window is ``width`` units long: bytes, or words (runs without ASCII white spac
    hash, are ordered by a mergesort network whose comparisons find the common extension by binary search over hashes.
    Neighbours with a common extension of ``width`` units or more are verified byte by byte; the verified extension covers the
    windows from there on, and starts that are not covered yet make the next round.
-4. A bucket too large for one task (``HOT_BYTES`` of content) is opened instead into one row per window with a 128-bit digest of its
-   bytes, which are counted with partial aggregation; no group is gathered.
+4. A bucket too large for one task (``HOT_BYTES`` of content) is refined instead. Windows are dealt by their distance to the gram into
+   parts of ``sizes_of`` windows, which shrink eightfold from step to step. Digests of the bytes are counted with partial
+   aggregation, no group is gathered: a part whose whole content occurs twice is found, one whose core (the bytes that all windows at
+   its place hold) occurs once is done, and only one part of each kind of the rest goes on, down to single windows.
 
 With ``words`` set, passages of that many equal words are cut as well as strings of ``width`` bytes; both kinds are judged on the
 whole input text. Null or empty text: nothing removed, n_spans 0. Rows are judged one by one, so repeated rows remove each other whole
@@ -284,7 +286,7 @@ def anchor_runs(texts: DataFrame, modes) -> DataFrame:
 
 
 def _contents(texts: DataFrame, chosen: DataFrame, modes) -> DataFrame:
-    """Content of the chosen runs; of runs in hot buckets the digest of every window instead (``known`` null)."""
+    """Content of the chosen runs."""
     widths = dict(modes)
 
     def start():
@@ -296,16 +298,66 @@ def _contents(texts: DataFrame, chosen: DataFrame, modes) -> DataFrame:
                     if by_word and units is None:
                         units = word_units(raw)[1:]
                     first, last = units if by_word else (None, None)
-                    if r["hot"]:
-                        for w in range(at, at + n):
-                            yield by_word, None, tkey, w, 1, None, _digest(_content(raw, first, last, w, widths[by_word]))
-                    else:
-                        yield by_word, r["low"], tkey, at, n, r["known"], _content(raw, first, last, at, n + widths[by_word] - 1)
+                    yield by_word, r["low"], tkey, at, n, r["known"], r["hot"], _content(raw, first, last, at, n + widths[by_word] - 1)
 
         return work
 
     per_text = chosen.groupBy("tkey").agg(F.collect_list(F.struct("by_word", "low", "at", "n", "known", "hot")).alias("runs"))
-    return arrow_rows(texts.join(per_text, "tkey"), _RUN + ", known boolean, content binary", start, flush=4096)
+    return arrow_rows(texts.join(per_text, "tkey"), _RUN + ", known boolean, hot boolean, content binary", start, flush=4096)
+
+
+def sizes_of(width: int) -> list[int]:
+    """Windows per part at each step of the refinement: powers of eight, the first at most half a window."""
+    sizes = [1]
+    while sizes[0] * 16 <= width:
+        sizes.insert(0, sizes[0] * 8)
+    return sizes
+
+
+def parts_of(content: bytes, low: int, n: int, size: int, width: int, by_word: bool, spans=None):
+    """(first window, windows, core, content) of the parts of a run: neighbouring windows whose distances to the next gram ``low`` have
+    one quotient by ``size``; only those in ``spans`` if given."""
+    if by_word:
+        values, first, last = word_units(content)
+    else:
+        first, last = None, None
+        values = _BYTES[np.frombuffer(content, dtype=np.uint8)]
+    hits = np.flatnonzero(_grams(values, min(WORD_GRAM if by_word else GRAM, width)).view(np.int64) == low)
+    for a, b in [(0, n)] if spans is None else [(s["lo"], s["lo"] + s["n"]) for s in spans]:
+        start = np.arange(a, b)
+        hit = hits[np.searchsorted(hits, start)]
+        part = (hit - start) // size
+        cut = np.flatnonzero(np.concatenate([[True], (hit[1:] != hit[:-1]) | (part[1:] != part[:-1])]))
+        for lo, count, h, k in zip(start[cut].tolist(), np.diff(np.append(cut, len(start))).tolist(), hit[cut].tolist(), part[cut].tolist()):
+            yield lo, count, _content(content, first, last, h - size * k, width - size + 1), _content(content, first, last, lo, count + width - 1)
+
+
+def _refined(contents: DataFrame, modes, scratch: Scratch) -> list[DataFrame]:
+    """[(by_word, tkey, at, n)]: windows of hot buckets that stand elsewhere too, step by step."""
+    widths, sizes = dict(modes), {by_word: sizes_of(width) for by_word, width in modes}
+    found, opened, run = [], None, ["by_word", "tkey", "run_at"]
+    for step in range(max(map(len, sizes.values()))):
+
+        def start(step=step, all_of_it=opened is None):
+            def work(cols):
+                for by_word, low, tkey, at, n, content, spans in zip(*(cols[c] for c in ("by_word", "low", "tkey", "at", "n", "content", "spans"))):
+                    size = sizes[by_word][step]
+                    for lo, count, core, whole in parts_of(content, low, n, size, widths[by_word], by_word, None if all_of_it else spans):
+                        yield by_word, low, tkey, at, lo, count, _digest(core), _digest(whole)
+
+            return work
+
+        rows = contents.withColumn("spans", F.lit(None).cast("array<struct<lo:int,n:int>>")) if opened is None else contents.withColumn("run_at", F.col("at")).join(
+            opened.groupBy(*run).agg(F.collect_list(F.struct("lo", "n")).alias("spans")), run)
+        parts = scratch.write(arrow_rows(rows, "by_word boolean, low long, tkey binary, run_at int, lo int, n int, core binary, whole binary", start), "parts")
+        bucket = ["by_word", "low", "core"]
+        kinds = parts.groupBy(*bucket, "whole").agg(F.count("*").alias("c"), F.min(F.struct("tkey", "run_at", "lo", "n")).alias("one"))
+        kinds = scratch.write(kinds, "part_kinds")
+        twice = kinds.where("c > 1").select(*bucket, "whole")
+        found.append(parts.join(twice, [*bucket, "whole"], "left_semi").select("by_word", "tkey", (F.col("run_at") + F.col("lo")).alias("at"), "n"))
+        several = kinds.groupBy(*bucket).agg(F.count("*").alias("k"), F.min("c").alias("least")).where("k > 1 and least = 1").select(*bucket)
+        opened = kinds.join(several, bucket, "left_semi").select("by_word", "one.tkey", "one.run_at", "one.lo", "one.n")
+    return found
 
 
 def _compare(contents: DataFrame, modes) -> DataFrame:
@@ -358,11 +410,11 @@ def repeat_spans(docs: DataFrame, scratch: Scratch, width: int = WIDTH, words: i
     chosen = kinds.join(several.select(*bucket, (F.col("size") > HOT_BYTES).alias("hot")), bucket).select(
         *bucket, "one.tkey", "one.at", "one.n", (F.col("c") > 1).alias("known"), "hot")
     contents = scratch.write(_contents(texts, chosen, modes), "contents")
-    hot = contents.where("known is null").select("by_word", "content", "tkey", "at")
-    shared = hot.groupBy("by_word", "content").agg(F.count("*").alias("c")).where("c > 1").select("by_word", "content")
+    hot = contents.where("hot").dropDuplicates(["by_word", "tkey", "at"])
     out = met.join(kinds.where("c > 1").select(*bucket, "whole"), [*bucket, "whole"], "left_semi").select("by_word", "tkey", "at", "n").unionByName(
-        _compare(contents.where("known is not null"), modes)).unionByName(
-        hot.join(shared, ["by_word", "content"], "left_semi").select("by_word", "tkey", "at", F.lit(1).alias("n")))
+        _compare(contents.where("not hot"), modes))
+    for more in _refined(hot, modes, scratch) if not contents.where("hot").isEmpty() else []:
+        out = out.unionByName(more)
     spans = scratch.write(out.distinct(), "spans")
     scratch.clear(but=1)
     return spans

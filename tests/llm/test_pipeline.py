@@ -6,9 +6,10 @@ from collections import Counter
 
 import numpy as np
 import public_tokenizers
+import pytest
 
 import corpus_pipeline
-from sparsetier.llm import byte_bpe, near_dedup
+from sparsetier.llm import byte_bpe, near_dedup, suffix_dedup
 
 COLUMNS = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -38,7 +39,10 @@ def without_repeats(texts, width=400, words=51):
     return [np.frombuffer(t.encode(), np.uint8)[~g].tobytes().decode(errors="ignore") for t, g in zip(texts, gone)]
 
 
-def test_repeated_passages(spark):
+@pytest.mark.parametrize("hot", [False, True])
+def test_repeated_passages(spark, hot, monkeypatch):
+    if hot:
+        monkeypatch.setattr(suffix_dedup, "HOT_BYTES", 0)
     passage = " ".join(f"w{k % 97:02d}é" if k % 9 == 0 else f"p{k:02d}" for k in range(51))
     short = " ".join(f"q{k:02d}" for k in range(50))
     again = " ".join(f"r{k:02d}" for k in range(51))
