@@ -22,9 +22,39 @@ class TypeSizes:
     prefix: int = 4
 
 
+@dataclass(frozen=True)
+class StorageModel:
+    """Storage of a chunked accumulation for any accumulator: slots(chunk width) * slot_bytes + chunks * chunk_bytes."""
+
+    slot_bytes: float
+    slots: object = staticmethod(lambda width: width)
+    chunk_bytes: float = 136
+
+    def bytes(self, width: int, n_chunks: int) -> float:
+        return self.slots(-(-width // n_chunks)) * self.slot_bytes + n_chunks * self.chunk_bytes
+
+    def argmin_pow2(self, width: int) -> int:
+        return min((1 << n for n in range(ceil_pow2(width).bit_length())), key=lambda n: self.bytes(width, n))
+
+
 #: Private cache of the three published machines.
 SKX, SPR, EMR = SystemSpec("SKX", 1 << 20), SystemSpec("SPR", 2 << 20), SystemSpec("EMR", 2 << 20)
 TOY = SystemSpec("toy", 2048)
+TOY_FINE = SystemSpec("toy_fine", 4096)
+
+
+def spec_from_spark(spark) -> SystemSpec:
+    """One tier up: the memory of a task in place of the private cache, its shuffle write buffer in place of a cache line."""
+    conf = spark.sparkContext.getConf()
+    unit = {"k": 1 << 10, "m": 1 << 20, "g": 1 << 30, "t": 1 << 40}
+
+    def size(text: str, default: str) -> int:
+        text = text.lower().rstrip("b")
+        return int(float(text[:-1]) * unit[text[-1]]) if text[-1] in unit else int(text) * unit[default]
+
+    memory = size(conf.get("spark.executor.memory", "1g"), "m") * float(conf.get("spark.memory.fraction", "0.6"))
+    cores = int(conf.get("spark.executor.cores", "0")) or max(1, spark.sparkContext.defaultParallelism)
+    return SystemSpec("task", int(memory / cores), size(conf.get("spark.shuffle.file.buffer", "32k"), "k"))
 
 
 def ceil_pow2(x: int) -> int:
@@ -94,3 +124,26 @@ def ideal_read_bytes(n_rows: int, nnz_a: int, n_inter: int, types=TypeSizes()) -
 
 def ideal_write_bytes(n_rows: int, nnz_c: int, types=TypeSizes()) -> int:
     return (n_rows + 1) * types.row_pointer + nnz_c * (types.column + types.value)
+
+
+def ideal_seconds(n_bytes: float, bytes_per_second: float) -> float:
+    return n_bytes / bytes_per_second
+
+
+def breakpoints(width: int, spec, types, phase="numeric") -> tuple[int, int]:
+    """First power-of-two chunk counts at which a dense chunk buffer fits the private cache, and at which the reorder arrays do not
+    any more."""
+    log = range(ceil_pow2(width).bit_length() + 1)
+    fits = next((1 << n for n in log if width * dense_slot_bytes(phase, types) / (1 << n) <= spec.l2_bytes), 0)
+    breaks = next((1 << n for n in range(64) if (1 << n) * fine_chunk_bytes(spec, types) > spec.l2_bytes), 0)
+    return fits, breaks
+
+
+def working_set_excess(width: int, n_chunks: int, spec, types, phase="numeric") -> float:
+    """Bytes by which the fine level's storage exceeds the private cache: the model's stand-in for evictions."""
+    return max(0.0, fine_storage(width, n_chunks, spec, types, phase) - spec.l2_bytes)
+
+
+def coarse_counter_bytes(n_coarse: int, spec, types) -> int:
+    """Bytes a coarse row holds while its products are dealt: a count, an offset and two lines of store buffer per chunk."""
+    return n_coarse * fine_chunk_bytes(spec, types)

@@ -1,180 +1,192 @@
-"""Sparse products. All return a coordinate matrix and agree exactly; they differ in how the intermediate product is dealt
-and merged."""
+"""The products the two-level method is measured against. All return a coordinate matrix and agree exactly; they differ in how
+the intermediate product is dealt and merged."""
 
 from __future__ import annotations
 
-import heapq
+import uuid
 
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.functions.params import SPR, TypeSizes, plan_chunks
-from sparsetier.operators.blocks import categorize, expand
+from sparsetier.functions.params import SPR, dense_slot_bytes
+from sparsetier.operators import blocks as B
+from sparsetier.operators.blocks import expand
+from sparsetier.plans import kernel as K
+from sparsetier.plans import two_level as T
 from sparsetier.sources.matrices import SparseMatrix
 
-SCHEMA = "i long, j long, v long"
-TYPES = TypeSizes(value=8, column=8)
-
-
-def _merge_sorted(key: np.ndarray, p: np.ndarray):
-    order = np.argsort(key, kind="stable")
-    key, p = key[order], p[order]
-    at = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
-    return key[at], np.add.reduceat(p, at)
-
-
-def _merge_dense(local: np.ndarray, p: np.ndarray, width: int):
-    buffer = np.zeros(width, dtype=np.int64)
-    np.add.at(buffer, local, p)
-    seen = np.zeros(width, dtype=bool)
-    seen[local] = True
-    touched = np.flatnonzero(seen)
-    return touched, buffer[touched]
-
-
-def chunk_kernel(shift: int, accumulator: str = "hybrid", threshold: int = 256):
-    """Arrow function on one group: histogram by (row, chunk), stable scatter, merge per chunk, shift back. Chunks below the
-    threshold are merged together by one sort, the others by dense buffers of the chunk's length."""
-
-    def run(table: pa.Table) -> pa.Table:
-        i, j, p = (table.column(c).to_numpy() for c in ("i", "j", "p"))
-        order = np.lexsort((j >> shift, i))
-        i, j, p = i[order], j[order], p[order]
-        chunk = j >> shift
-        at = np.flatnonzero(np.concatenate([[True], (i[1:] != i[:-1]) | (chunk[1:] != chunk[:-1])]))
-        size = np.diff(np.append(at, len(i)))
-        small = {"hybrid": size < threshold, "sort": np.ones(len(at), bool), "dense": np.zeros(len(at), bool)}[accumulator]
-        out = []
-        pick = np.repeat(small, size)
-        if pick.any():
-            rank = np.lexsort((j[pick], i[pick]))
-            a, b, c = i[pick][rank], j[pick][rank], p[pick][rank]
-            first = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])]))
-            out.append((a[first], b[first], np.add.reduceat(c, first)))
-        for n in np.flatnonzero(~small):
-            s = slice(at[n], at[n] + size[n])
-            base = int(chunk[at[n]]) << shift
-            cols, sums = _merge_dense(j[s] - base, p[s], 1 << shift)
-            out.append((np.full(len(cols), i[at[n]]), cols + base, sums))
-        cells = [np.concatenate(x) for x in zip(*out)] if out else [np.zeros(0, np.int64)] * 3
-        return pa.table(dict(zip("ijv", (pa.array(c, pa.int64()) for c in cells))))
-
-    return run
-
-
-def _grouped(pairs: DataFrame, keys, kernel) -> DataFrame:
-    return pairs.withColumns({n: e for n, e in keys.items()}).groupBy(*keys).applyInArrow(kernel, SCHEMA)
-
 
 def _c(df, a, b):
     return SparseMatrix(df, a.n_rows, b.n_cols)
 
 
 def relational(a, b, hint=None):
-    """Join and partial plus final hash aggregation; the row-wise product as SQL would do it."""
+    """Join, partial and final hash aggregation; the row-wise product as SQL would do it."""
     return _c(expand(a, b, hint).groupBy("i", "j").agg(F.sum("p").alias("v")), a, b)
 
 
-def rowwise_dense(a, b, row_block=0, budget=1 << 28):
-    plan = plan_chunks(b.n_cols, SPR, TYPES, coarse=False)
-    if plan.width * 9 > budget:
-        raise MemoryError("a full-width dense accumulator does not fit one task")
-    return _c(_grouped(expand(a, b), {"rb": F.shiftright("i", row_block)}, chunk_kernel(plan.width.bit_length() - 1, "dense")), a, b)
+def rowwise_dense(a, b, budget: int = 1 << 30):
+    """Row-wise product with one dense accumulator of the full width. A width over ``budget`` bytes, where the method breaks down
+    for want of memory, goes through the fine level, whose chunks are the same accumulator cut to a width that fits."""
+    if b.n_cols * dense_slot_bytes("numeric", T.TYPES) > budget:
+        return T.fine_level(a, b, SPR, T.Options(accumulator="dense"))
+    return T.two_level(a, b, SPR, T.Options(coarse=False, categorize=False, accumulator="dense", n_fine=1))
 
 
 def expand_sort_compress(a, b):
-    pairs = expand(a, b, "merge").repartition("i").sortWithinPartitions("i", "j")
-    return _c(pairs.groupBy("i", "j").agg(F.sum("p").alias("v")), a, b)
+    """The intermediate product of a row goes to one task, is sorted by column, and equal neighbours are merged."""
+    pairs = expand(a, b, "merge").select("i", "j", "p").repartition("i").sortWithinPartitions("i", "j")
+    return _c(K.compress_sorted(pairs, T.value_type(a, b)), a, b)
 
 
 def symbolic(a, b) -> DataFrame:
-    """Exact (i, nnz) of the product; no multiplication."""
+    """Exact (i, nnz) of the product, relational; no multiplication."""
     return expand(a, b).select("i", "j").distinct().groupBy("i").agg(F.count("*").alias("nnz"))
 
 
-def fine_level(a, b, spec=SPR, row_block=6, accumulator="hybrid"):
-    plan = plan_chunks(b.n_cols, spec, TYPES, coarse=False)
-    return _c(_grouped(expand(a, b), {"rb": F.shiftright("i", row_block)}, chunk_kernel(plan.shift_fine, accumulator)), a, b)
+def symbolic_estimate(a, b, error: float = 0.05) -> DataFrame:
+    """(i, upper, estimate): the number of products bounds the non-zeros, a sketch estimates them."""
+    return expand(a, b).groupBy("i").agg(F.count("*").alias("upper"), F.approx_count_distinct("j", error).alias("estimate"))
 
 
 def fine_level_sql(a, b, spec=SPR, row_block=6):
-    plan = plan_chunks(b.n_cols, spec, TYPES, coarse=False)
+    plan = T.chunk_plan(b.n_cols, spec, "numeric", T.Options(coarse=False))
     pairs = expand(a, b).withColumns({"rb": F.shiftright("i", row_block), "chunk": F.shiftright("j", plan.shift_fine)}).repartition("rb", "chunk")
     return _c(pairs.groupBy("rb", "chunk", "i", "j").agg(F.sum("p").alias("v")).select("i", "j", "v"), a, b)
 
 
-def coarse_fine(a, b, spec=SPR, row_block=6, accumulator="hybrid"):
-    """Outer-product order; (row block, coarse chunk) is the shuffle partition and the fine level runs inside it."""
-    plan = plan_chunks(b.n_cols, spec, TYPES)
-    needed = a.df.select(F.col("j").alias("i")).distinct()
-    pruned = SparseMatrix(b.df.join(needed, "i", "left_semi"), b.n_rows, b.n_cols)
-    keys = {"rb": F.shiftright("i", row_block), "coarse": F.shiftright("j", plan.shift_coarse)}
-    return _c(_grouped(expand(a, pruned, "shuffle_hash"), keys, chunk_kernel(plan.shift_fine, accumulator)), a, b)
+def segment_length(b, segments: int) -> int:
+    return -(-b.n_cols // segments)
 
 
-def two_level(a, b, spec=SPR, coarse=True, accumulator="hybrid"):
-    """Setup and numeric product by category: rows of the categories sort and dense are merged by native aggregation, which needs no
-    locality; the rest goes through the fine or the coarse level."""
-    plan = plan_chunks(b.n_cols, spec, TYPES, coarse=coarse)
-    rows = categorize(a, b, plan, spec, TYPES).select("i", "category")
-    light = SparseMatrix(a.df.join(rows.where(F.col("category").isin("sort", "dense")), "i", "left_semi"), a.n_rows, a.n_cols)
-    heavy = SparseMatrix(a.df.join(rows.where(F.col("category") == plan.level), "i", "left_semi"), a.n_rows, a.n_cols)
-    level = coarse_fine if plan.level == "coarse" else fine_level
-    return _c(relational(light, b).df.unionByName(level(heavy, b, spec, accumulator=accumulator).df), a, b)
+def segment_summary(b, segments=8) -> DataFrame:
+    """(i, seg, cnt, first_j): where each row's segments start, and how long they are."""
+    return b.df.groupBy("i", F.floor(F.col("j") / segment_length(b, segments)).alias("seg")).agg(F.count("*").alias("cnt"), F.min("j").alias("first_j"))
 
 
-def segmented_b(a, b, segments=8, row_block=6):
-    """Competitor: B in column segments, one narrow accumulator alive at a time."""
-    length = -(-b.n_cols // segments)
-    pairs = expand(a, b).withColumns({"rb": F.shiftright("i", row_block), "seg": F.floor(F.col("j") / length)}).repartition("rb", "seg")
-    return _c(pairs.groupBy("rb", "seg", "i", "j").agg(F.sum("p").alias("v")).select("i", "j", "v"), a, b)
+def segmented_b(a, b, segments=8):
+    """Competitor: B in column segments, one narrow accumulator alive at a time. The summary says which segments an entry of A has
+    to visit; a segment of a row of B is read for these only, and each (segment, row) is accumulated densely by itself."""
+    length = segment_length(b, segments)
+    visits = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("va")).join(segment_summary(b, segments).select(F.col("i").alias("k"), "seg"), "k")
+    cut = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("vb"), F.floor(F.col("j") / length).alias("seg"))
+    pairs = visits.join(cut, ["k", "seg"]).select(F.col("seg").alias("sub"), "i", "j", (F.col("va") * F.col("vb")).alias("p"), F.lit(K.DENSE).cast("long").alias("kind"))
+    dealt = pairs.repartition("sub", "i").sortWithinPartitions("sub", "i")
+    return _c(K.chunked_merge(dealt, K.KernelPlan(0), T.value_type(a, b)), a, b)
 
 
-def segment_summary(b, segments=8) -> DataFrame:
-    length = -(-b.n_cols // segments)
-    return b.df.groupBy("i", F.floor(F.col("j") / length).alias("seg")).agg(F.count("*").alias("cnt"), F.min("j").alias("first_j"))
+def hash_product(a, b):
+    """Competitor: shuffled hash join; each row's products meet in one task and are merged in a hash table there, without partial
+    aggregation before."""
+    return _c(expand(a, b, "shuffle_hash").repartition("i").groupBy("i", "j").agg(F.sum("p").alias("v")), a, b)
 
 
-def heap_product(a, b, row_block=6):
+def heap_product(a, b):
     """Competitor: per row, a heap merges the scaled rows of B."""
+    pairs = expand(a, b, "merge").repartition("i").sortWithinPartitions("i", "k", "j")
+    return _c(K.heap_rows(pairs), a, b)
+
+
+def library_product(a, b, block: int = 1024):
+    """Competitor, a black box: the block matrices of Spark's own library. Blocks of the result are dense, so its size is checked."""
+    from pyspark.mllib.linalg.distributed import CoordinateMatrix, MatrixEntry
+
+    if a.n_rows * b.n_cols > 1 << 26:
+        raise ValueError("the library's result blocks are dense: rows x columns is too large for it")
+    blocks = [CoordinateMatrix(m.df.rdd.map(lambda r: MatrixEntry(r.i, r.j, float(r.v))), m.n_rows, m.n_cols).toBlockMatrix(block, block) for m in (a, b)]
+    entries = blocks[0].multiply(blocks[1]).toCoordinateMatrix().entries.map(lambda e: (e.i, e.j, e.value))
+    found = a.df.sparkSession.createDataFrame(entries, "i long, j long, v double")
+    return _c(found.where("v <> 0").select("i", "j", F.col("v").cast(T.value_type(a, b)).alias("v")), a, b)
+
+
+def portable_sql(a, b):
+    """Competitor: the same product as SQL text, without functions, hints or settings of ours."""
+    spark, names = a.df.sparkSession, [f"m_{uuid.uuid4().hex}" for _ in range(2)]
+    for name, m in zip(names, (a, b)):
+        m.df.createOrReplaceTempView(name)
+    return _c(spark.sql(f"select x.i, y.j, sum(x.v * y.v) as v from {names[0]} x join {names[1]} y on x.j = y.i group by x.i, y.j"), a, b)
+
 
-    def run(table: pa.Table) -> pa.Table:
-        rows: dict[int, dict[int, list]] = {}
-        for i, k, j, p in zip(*(table.column(c).to_pylist() for c in ("i", "k", "j", "p"))):
-            rows.setdefault(i, {}).setdefault(k, []).append((j, p))
-        out = []
-        for i, runs in rows.items():
-            last = None
-            for j, p in heapq.merge(*(sorted(r) for r in runs.values())):
-                if j == last:
-                    out[-1][2] += p
-                else:
-                    out.append([i, j, p])
-                    last = j
-        return pa.table({n: pa.array([r[k] for r in out], pa.int64()) for k, n in enumerate("ijv")})
-
-    return _c(_grouped(expand(a, b), {"rb": F.shiftright("i", row_block)}, run), a, b)
-
-
-def semiring(a, b, add="min", mul="plus"):
+SEMIRINGS = {"plus_times": ("sum", "times"), "min_plus": ("min", "plus"), "max_min": ("max", "min"), "or_and": ("or", "and"), "plus_pair": ("sum", "pair")}
+
+
+def semiring(a, b, name: str = "plus_times"):
+    """Competitor: any of the five semirings. or-and takes non-zero for true and gives 1 or 0."""
+    add, mul = SEMIRINGS[name]
     left = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("va"))
     right = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("vb"))
     x, y = F.col("va"), F.col("vb")
-    p = {"times": x * y, "plus": x + y, "min": F.least(x, y), "pair": F.lit(1).cast("long")}[mul]
-    merge = {"sum": F.sum, "min": F.min, "max": F.max}[add]
+    p = {"times": x * y, "plus": x + y, "min": F.least(x, y), "pair": F.lit(1).cast("long"), "and": (x != 0) & (y != 0)}[mul]
+    merge = {"sum": F.sum, "min": F.min, "max": F.max, "or": lambda c: F.bool_or(c).cast("long")}[add]
     return _c(left.join(right, "k").groupBy("i", "j").agg(merge(p).alias("v")), a, b)
 
 
+def outer_product(a, b):
+    """Columns of A against rows of B, both packed, merged by one aggregation."""
+    plan = T.chunk_plan(b.n_cols, SPR, "numeric", T.Options())
+    return _c(T.coarse_pairs(a, b, plan).groupBy("i", "j").agg(F.sum("p").alias("v")), a, b)
+
+
+def blocked_outer(a, b, n_blocks: int = 16):
+    """Outer product with one level of blocking: its pairs are dealt by column block first and merged inside the block."""
+    plan = T.chunk_plan(b.n_cols, SPR, "numeric", T.Options())
+    pairs = T.coarse_pairs(a, b, plan).withColumn("block", F.floor(F.col("j") * n_blocks / b.n_cols))
+    dealt = pairs.repartition("block", F.shiftright("i", 6))
+    return _c(dealt.groupBy("block", F.shiftright("i", 6).alias("rb"), "i", "j").agg(F.sum("p").alias("v")).select("i", "j", "v"), a, b)
+
+
 def masked(a, b, mask):
     pairs = expand(a, b).join(mask.df.select("i", "j"), ["i", "j"], "left_semi")
     return _c(pairs.groupBy("i", "j").agg(F.sum("p").alias("v")), a, b)
 
 
+def broadcast_product(a, b, limit_bytes: int = 32 << 20):
+    """B is broadcast if its entries, 24 bytes each, are counted to be within the limit; else the relational product."""
+    return relational(a, b, "broadcast" if b.df.count() * 24 <= limit_bytes else None)
+
+
 def grid(a, b, p=4, q=4):
     """Result-stationary grid: A is copied to q column blocks, B to p row blocks."""
     left = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("va"), (F.col("i") % p).alias("gi"), F.explode(F.sequence(F.lit(0), F.lit(q - 1))).alias("gj"))
     right = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("vb"), (F.col("j") % q).alias("gj"), F.explode(F.sequence(F.lit(0), F.lit(p - 1))).alias("gi"))
     joined = left.join(right.withColumnRenamed("gi", "gi2").withColumnRenamed("gj", "gj2"), [F.col("gi") == F.col("gi2"), F.col("gj") == F.col("gj2"), left.k == right.k])
     return _c(joined.groupBy("i", "j").agg(F.sum(F.col("va") * F.col("vb")).alias("v")), a, b)
+
+
+def total_products(a, b) -> int:
+    """n_inter from row and column counts alone."""
+    left = a.df.groupBy(F.col("j").alias("k")).agg(F.count("*").alias("ca"))
+    right = b.df.groupBy(F.col("i").alias("k")).agg(F.count("*").alias("cb"))
+    return left.join(right, "k").agg(F.coalesce(F.sum(F.col("ca") * F.col("cb")), F.lit(0))).first()[0]
+
+
+def square(a, spec=SPR):
+    return T.two_level(a, a, spec)
+
+
+def gram(a, spec=SPR):
+    """Aᵀ·A."""
+    return T.two_level(a.transpose(), a, spec)
+
+
+def triple(r, a, p):
+    """R·A·P, associated so that the first product has fewer elementary products."""
+    if total_products(r, a) <= total_products(a, p):
+        return relational(relational(r, a), p)
+    return relational(r, relational(a, p))
+
+
+def choose(a, b, spec=SPR, small_bytes: int = 32 << 20) -> str:
+    """Name of the method by size: broadcast for a small B, the relational product where partial aggregation shrinks the products
+    (several a result cell could hold) or all rows are short, else the two-level method."""
+    if b.df.count() * 24 <= small_bytes:
+        return "broadcast"
+    n = total_products(a, b)
+    if n >= 4 * a.n_rows * b.n_cols or n < 256 * max(1, a.n_rows):
+        return "relational"
+    return "two_level"
+
+
+def product(a, b, method: str = "auto", spec=SPR):
+    method = choose(a, b, spec) if method == "auto" else method
+    return {"broadcast": broadcast_product, "relational": relational, "two_level": lambda x, y: T.two_level(x, y, spec)}[method](a, b)

@@ -52,6 +52,52 @@ def next_part(spark: SparkSession, sf_dir: str) -> SparseMatrix:
     return SparseMatrix.from_table(rows, "a", "b", F.lit(1), n, n)
 
 
+def next_user(spark: SparkSession, sf_dir: str) -> SparseMatrix:
+    """Counts of consecutive users inside an hour."""
+    from pyspark.sql import Window
+
+    after = F.lead("user_id").over(Window.partitionBy(F.date_trunc("hour", "ts")).orderBy("ts", "event_id"))
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").select(F.col("user_id").alias("a"), after.alias("b"))
+    n = _size(spark, sf_dir, "events", "user_id")
+    return SparseMatrix.from_table(rows, "a", "b", F.lit(1), n, n)
+
+
+def user_hour(spark: SparkSession, sf_dir: str) -> SparseMatrix:
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 3600).alias("hour"))
+    first = rows.agg(F.min("hour")).first()[0] or 0
+    rows = rows.withColumn("hour", F.col("hour") - first)
+    return SparseMatrix.from_table(rows, "user_id", "hour", F.lit(1), _size(spark, sf_dir, "events", "user_id"), (rows.agg(F.max("hour")).first()[0] or 0) + 1)
+
+
+def document_terms(spark: SparkSession, sf_dir: str, least: int = 2, most: int = 50) -> SparseMatrix:
+    """Counts of words of a to z, for words that stand in ``least`` to ``most`` documents; columns number these words in their order."""
+    from sparsetier.operators.blocks import index_keys
+
+    words = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)"))).alias("term"))
+    counts = words.groupBy("doc_id", "term").agg(F.count("*").alias("c"))
+    chosen = counts.groupBy("term").agg(F.count("*").alias("df")).where(F.col("df").between(least, most)).select("term")
+    ids = index_keys(chosen, "term")
+    cells = counts.join(ids, F.col("term") == F.col("key")).select("doc_id", "id", "c")
+    return SparseMatrix.from_table(cells, "doc_id", "id", F.col("c"), _size(spark, sf_dir, "documents", "doc_id"), (ids.agg(F.max("id")).first()[0] or 0) + 1)
+
+
+def page_links(spark: SparkSession, sf_dir: str) -> SparseMatrix:
+    """Counts of href targets by page; columns number the targets in their order."""
+    from sparsetier.operators.blocks import index_keys
+
+    links = spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'))).alias("target"))
+    ids = index_keys(links, "target")
+    cells = links.join(ids, F.col("target") == F.col("key")).select("page_id", "id")
+    return SparseMatrix.from_table(cells, "page_id", "id", F.lit(1), _size(spark, sf_dir, "pages", "page_id"), (ids.agg(F.max("id")).first()[0] or 0) + 1)
+
+
+def embedding_matrix(spark: SparkSession, sf_dir: str, scale: int = 1000, width: int = 64) -> SparseMatrix:
+    """Vectors as scaled whole numbers; every entry is stored, zeros too."""
+    rows = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.posexplode("embedding").alias("j", "x"))
+    value = F.floor(F.col("x").cast("double") * scale + 0.5)
+    return SparseMatrix.from_table(rows.withColumn("j", F.col("j").cast("long")), "vec_id", "j", value, _size(spark, sf_dir, "embeddings", "vec_id"), width)
+
+
 def portable_hash(x: Column, seed: int) -> Column:
     """Integer congruential hash below 2**31; every intermediate value is below 2**63."""
     a = ((x % PRIME) * 48271 + seed) % PRIME
@@ -65,6 +111,21 @@ def banded_matrix(spark: SparkSession, n: int, half: int) -> SparseMatrix:
     return SparseMatrix(df.withColumn("v", F.lit(1).cast("long")), n, n)
 
 
+def mixed_matrix(spark: SparkSession, n: int = 2048, seed: int = 42) -> SparseMatrix:
+    """A third of the rows a narrow band, a third a wide band, the rest uniform: rows for sorting, dense buffers and chunks."""
+    third, rest = n // 3, 2 * n // 3
+    half = F.when(F.col("id") < third, 2).otherwise(20)
+    band = spark.range(rest).select(F.col("id").alias("i"), F.explode(F.sequence(F.col("id") - half, F.col("id") + half)).alias("j")).where((F.col("j") >= 0) & (F.col("j") < n))
+    loose = spark.range(rest, n).select(F.col("id").alias("i"), F.explode(F.sequence(F.lit(0), F.lit(19))).alias("t"))
+    loose = loose.select("i", (portable_hash(F.col("i") * 20 + F.col("t"), seed) % n).alias("j")).distinct()
+    return SparseMatrix(band.unionByName(loose).withColumn("v", F.lit(1).cast("long")), n, n)
+
+
+def index_stream(spark: SparkSession, size: int, length: int, seed: int = 42) -> DataFrame:
+    """(pos, idx, val): indices spread evenly over the stream's length."""
+    return spark.range(size).select(F.col("id").alias("pos"), (portable_hash(F.col("id"), seed) % length).alias("idx"), (F.col("id") % 7 + 1).alias("val"))
+
+
 def uniform_matrix(spark: SparkSession, n: int, m: int, per_row: int, seed: int) -> SparseMatrix:
     df = spark.range(n * per_row).select(F.floor(F.col("id") / per_row).cast("long").alias("i"), (portable_hash(F.col("id"), seed) % m).alias("j")).distinct()
     return SparseMatrix(df.withColumn("v", F.lit(1).cast("long")), n, m)
