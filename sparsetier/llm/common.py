@@ -2,50 +2,28 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+import sys
+import types
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_OWN: dict[str, str] = {}
+from sparsetier.store import Scratch
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def work_dir(spark: SparkSession) -> str:
-    """The shared folder named by spark.checkpoint.dir. Where that is unset (tests) a temporary one, and only in local mode: on a
-    cluster other machines would not see it."""
-    shared = spark.conf.get("spark.checkpoint.dir", None)
-    if shared:
-        return shared.rstrip("/")
-    if not spark.sparkContext.master.startswith("local["):
-        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-    return _OWN.setdefault("dir", tempfile.mkdtemp(prefix="sparsetier_"))
-
-
-class Scratch:
-    """Written intermediate tables: lineage ends at files that survive lost executors. ``clear`` deletes those no longer needed."""
-
-    def __init__(self, spark: SparkSession):
-        self.spark, self.paths = spark, []
-
-    def write(self, df: DataFrame, tag: str) -> DataFrame:
-        path = f"{work_dir(self.spark)}/{tag}_{uuid.uuid4().hex}"
-        df.write.parquet(path)
-        self.paths.append(path)
-        return self.spark.read.schema(df.schema).parquet(path)
-
-    def clear(self, but: int = 0):
-        """Delete all written tables, or all but the last ``but``."""
-        gone, self.paths = self.paths[:len(self.paths) - but], self.paths[len(self.paths) - but:]
-        for path in gone:
-            at = self.spark._jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(at, True)
+def held_by_process(key, make: Callable):
+    """What ``make`` gives, once per Python worker, which Spark uses for many tasks. Functions reach workers as copies, so their own
+    globals do not last; a module entry does."""
+    holder = sys.modules.setdefault("sparsetier_held", types.ModuleType("sparsetier_held"))
+    if key not in holder.__dict__:
+        holder.__dict__[key] = make()
+    return holder.__dict__[key]
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:

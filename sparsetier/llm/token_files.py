@@ -5,8 +5,8 @@ The dictionary is trained on the ids of a bounded sample (``sample`` documents w
 doc_id alone and its texts are fetched after.
 
 The pre-tokenizers served here never join characters across white space, so a text's ids are those of its pieces between
-white space, one after the other. Each task holds the ids of pieces it has met (at most ``HELD_PIECES``) and asks the library for new
-ones only. Texts with the control characters U+001C to U+001F, which Python counts as white space and the library does
+white space, one after the other. Each Python worker holds the ids of pieces it has met (at most ``HELD_PIECES``, from task to task)
+and asks the library for new ones only. Texts with the control characters U+001C to U+001F, which Python counts as white space and the library does
 not, and vocabularies that keep white space are given to the library whole. Documents are ranged by (doc_id, hash of the
 text) and written as shards of bounded size. A shard is bytes: magic, dictionary hash, number of documents, tokens before it in
 its range, then the offset index (doc_id, null flag, offset, length, n_tokens) and the frames, so that one short
@@ -20,6 +20,7 @@ import hashlib
 import json
 import os
 import struct
+import unicodedata
 import zlib
 
 import numpy as np
@@ -29,11 +30,11 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import arrow_rows, materialize, texts_of
+from sparsetier.llm.common import arrow_rows, held_by_process, materialize, texts_of
 
 MAGIC = b"TIDS0001"
 _HEAD = "<8s32sIQ"
-HELD_PIECES = 1 << 19
+HELD_PIECES = 1 << 20
 _CONTROL = ("\x1c", "\x1d", "\x1e", "\x1f")
 _ENTRY = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("offset", "<u8"), ("length", "<u4"), ("n_tokens", "<u4")])
 
@@ -53,30 +54,84 @@ def drops_white_space(tok) -> bool:
     are independent (lower-casing and composition of characters never reach across a blank)."""
     shape = json.loads(tok.to_str())
     first = (shape.get("pre_tokenizer") or {}).get("pretokenizers", [{}])[0]
+    if not shape["model"].get("end_of_word_suffix") or not shape["added_tokens"]:
+        return False
     steps = {n["type"] for n in (shape.get("normalizer") or {}).get("normalizers", [])}
     return first.get("type") == "Split" and first.get("behavior") == "Removed" and first.get("invert") is True and steps <= {"NFC", "Replace", "Lowercase"}
 
 
 class PieceEncoder:
-    """Ids (little-endian unsigned 32-bit) of texts, by pieces met before where that is exact."""
+    """Ids (little-endian unsigned 32-bit) of texts, by pieces met before where that is exact.
+
+    New pieces of letters alone are given to the library many at a time, parted by blanks: each is one pre-token, so its ids end where
+    a token has the end-of-word mark. Other new pieces are cut by the pre-tokenizer's pattern after composition and lower-casing,
+    and their parts are looked up in turn; parts that are no letters, and pieces with characters whose lower case depends on their
+    surroundings or is longer, are parted by a special token instead.
+    """
 
     def __init__(self, name: str):
         self.tok, self.held = _tokenizer(name), {}
         self.by_piece = drops_white_space(self.tok)
+        if self.by_piece:
+            import regex
+
+            shape = json.loads(self.tok.to_str())
+            mark = shape["model"]["end_of_word_suffix"]
+            size = max(shape["model"]["vocab"].values()) + 1
+            self.ends = np.zeros(max([size, *(t["id"] + 1 for t in shape["added_tokens"])]), dtype=bool)
+            self.ends[[n for t, n in shape["model"]["vocab"].items() if mark and t.endswith(mark)]] = True
+            self.special = shape["added_tokens"][0]
+            self.cut = regex.compile(shape["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall
 
-    def _ask(self, texts: list[str]) -> list[bytes]:
+    def _ids(self, text: str) -> np.ndarray:
+        return np.array(self.tok.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
+
+    def _whole(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype="<u4").tobytes() for e in self.tok.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _parted(self, pieces: list[str]) -> list[bytes]:
+        """Pieces that do not hold the special token, parted by it."""
+        if any("<|" in p for p in pieces):
+            return self._whole(pieces)
+        ids = self._ids(self.special["content"].join(pieces))
+        edges = np.flatnonzero(ids == self.special["id"]).tolist()
+        return [ids[a + 1:b].tobytes() for a, b in zip([-1, *edges], [*edges, len(ids)])]
+
+    def _letters(self, pieces: list[str]) -> list[bytes]:
+        ids = self._ids(" ".join(pieces))
+        edges = (np.flatnonzero(self.ends[ids]) + 1).tolist()
+        if len(edges) != len(pieces):  # another opinion on what a letter is
+            return self._parted(pieces)
+        return [ids[a:b].tobytes() for a, b in zip([0, *edges], edges)]
+
+    def _learn(self, pieces: list[str]):
+        letters, others, cut = [], [], {}
+        for p in pieces:
+            if "\u0130" in p or "\u03a3" in p or "<|" in p:
+                others.append(p)
+            elif p.isalpha():
+                letters.append(p)
+            else:
+                cut[p] = self.cut(unicodedata.normalize("NFC", p).lower())
+        parts = {x for own in cut.values() for x in own} - set(letters) - set(others)
+        for x in parts:
+            if x not in self.held:
+                (letters if x.isalpha() else others).append(x)
+        for own, ask in ((letters, self._letters), (others, self._parted)):
+            for at in range(0, len(own), 1024):
+                self.held.update(zip(own[at:at + 1024], ask(own[at:at + 1024])))
+        for p, own in cut.items():
+            self.held[p] = b"".join(map(self.held.__getitem__, own)) if own != [p] else self.held[p]
+
     def __call__(self, texts: list[str]) -> list[bytes]:
         if not self.by_piece:
-            return self._ask(texts)
+            return self._whole(texts)
         pieces = [None if any(c in t for c in _CONTROL) else t.split() for t in texts]
         if len(self.held) > HELD_PIECES:
             self.held.clear()
-        new = list({p for own in pieces if own for p in own} - self.held.keys())
-        for at in range(0, len(new), 1024):
-            self.held.update(zip(new[at:at + 1024], self._ask(new[at:at + 1024])))
-        return [self._ask([t])[0] if own is None else b"".join(map(self.held.__getitem__, own)) for t, own in zip(texts, pieces)]
+        new = set().union(*filter(None, pieces))
+        self._learn([p for p in new if p not in self.held])
+        return [self._whole([t])[0] if own is None else b"".join(map(self.held.__getitem__, own)) for t, own in zip(texts, pieces)]
 
 
 def train_dictionary(texts: DataFrame, name: str, end_id: int, sample: int = 256, sample_ids: int = 1 << 14, size: int = 1 << 15) -> bytes:
@@ -99,7 +154,7 @@ def write_shards(docs: DataFrame, name: str = "word_bpe_49k.json", end_id: int =
     def run(batches):
         from pyspark import TaskContext
 
-        encode, end = PieceEncoder(name), np.array([end_id], dtype="<u4").tobytes()
+        encode, end = held_by_process(("pieces", name), lambda: PieceEncoder(name)), np.array([end_id], dtype="<u4").tobytes()
         press = zstandard.ZstdCompressor(level=3, dict_data=zstandard.ZstdCompressionDict(dictionary)).compress
         part, shard, before = TaskContext.get().partitionId(), 0, 0
         index, frames, size, tokens = [], [], 0, 0
