@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 
 from sparsetier.operators import accumulators as A
 
@@ -24,53 +24,53 @@ class KernelPlan:
     symbolic: bool = False
 
 
+def packs_by_prefix(count: np.ndarray, small: np.ndarray, target: int = A.PACK_TARGET) -> np.ndarray:
+    """Head chunk of the pack of every chunk, for rows of counts: neighbouring small chunks whose pairs before them fall into one
+    multiple of ``target``. The batch form of the greedy rule, without a loop."""
+    before = (np.cumsum(count, axis=1) - count) // target
+    key = (before * (count.shape[1] + 1) + np.cumsum(~small, axis=1)) * 2 + small
+    first = np.ones(count.shape, dtype=bool)
+    first[:, 1:] = key[:, 1:] != key[:, :-1]
+    return np.maximum.accumulate(np.where(first.ravel(), np.arange(count.size), 0))
+
+
 def fine_rows(row: np.ndarray, j: np.ndarray, p: np.ndarray, plan: KernelPlan, buffer: A.DenseBuffer):
-    """Fine level over rows numbered 0, 1, …: histogram, prefix sum, scatter to chunks with local columns, accumulate, shift back."""
+    """Fine level over rows numbered 0, 1, …: histogram, choice by chunk size, scatter to chunks with local columns, accumulate, shift
+    back. Small chunks are scattered and sorted by one sort."""
     if not len(j):
         return row, j, p
-    low = int(j.min()) >> plan.shift
-    n_chunks = (int(j.max()) >> plan.shift) - low + 1
-    chunk = row * n_chunks + (j >> plan.shift) - low
-    n = int(row.max() + 1) * n_chunks
-    if n <= 1 << 24:
-        count = np.bincount(chunk, minlength=n)
-        order = np.argsort(chunk.astype(np.uint16), kind="stable") if n <= 1 << 16 else np.argsort(chunk, kind="stable")  # the scatter
-        ids = np.flatnonzero(count)
-        count = count[ids]
-    else:
-        order = np.argsort(chunk, kind="stable")
-        ids, count = np.unique(chunk, return_counts=True)
-    start = np.cumsum(count) - count
-    number = np.repeat(np.arange(len(ids)), count)
-    local = (j - ((j >> plan.shift) << plan.shift))[order]
-    p = p[order]
-    small = {"hybrid": count < plan.threshold, "sort": np.ones(len(ids), bool), "dense": np.zeros(len(ids), bool)}[plan.accumulator]
-    pick, out = small[number], []
+    chunk = j >> plan.shift
+    low = np.minimum.reduceat(chunk, A._first_of_runs(row))
+    n_chunks = int((chunk - low[row]).max()) + 1
+    number = row * n_chunks + chunk - low[row]
+    count = np.bincount(number, minlength=len(low) * n_chunks).reshape(-1, n_chunks)
+    small = {"hybrid": count < plan.threshold, "sort": np.ones(count.shape, bool), "dense": np.zeros(count.shape, bool)}[plan.accumulator]
+    pick, out = small.ravel()[number], []
+    local = j - (chunk << plan.shift)
     if pick.any():
         seg, cols = number[pick], local[pick]
-        if plan.pack:  # neighbouring small chunks of a row are one piece of work; columns count from its first chunk
-            own_row = ids // n_chunks
-            pack = np.concatenate([np.array(A.pack_chunks(c.tolist(), threshold=plan.threshold)) for c in np.split(count, A._first_of_runs(own_row)[1:])])
-            head = np.zeros(len(ids), dtype=np.int64)
-            first = A._first_of_runs(own_row, pack)
-            head = np.repeat(first, np.diff(np.append(first, len(ids))))
-            cols = cols + ((ids[seg] - ids[head[seg]]) << plan.shift)
-            seg = head[seg]
+        if plan.pack:  # columns count from the pack's first chunk
+            head = packs_by_prefix(count, small)[seg]
+            cols = cols + ((seg - head) << plan.shift)
+            seg = head
         out.append(A.sort_many(seg, cols, p[pick]))
     if not pick.all():
-        out.append(A.dense_many(number[~pick], local[~pick], p[~pick], buffer))
+        seg = number[~pick]
+        order = np.argsort(seg.astype(np.uint16), kind="stable") if count.size <= 1 << 16 else np.argsort(seg)
+        out.append(A.dense_many(seg[order], local[~pick][order], p[~pick][order], buffer))
     seg, cols, sums = (np.concatenate(x) for x in zip(*out))
-    return ids[seg] // n_chunks, cols + ((ids[seg] % n_chunks + low) << plan.shift), sums
+    own = seg // n_chunks
+    return own, cols + ((seg % n_chunks + low[own]) << plan.shift), sums
 
 
-def merge_rows(i, j, p, kind, plan: KernelPlan, buffer: A.DenseBuffer):
-    """Merged (i, j, p) of whole rows, each by its category."""
-    out = []
+def merge_rows(key, j, p, n_rows: int, plan: KernelPlan, buffer: A.DenseBuffer):
+    """Merged (key, j, p) of whole pieces of rows, each by its category."""
+    kind, out = key // n_rows & 3, []
     for category in (SORT, DENSE, FINE):
         own = kind == category
         if not own.any():
             continue
-        a, b, c = i[own], j[own], p[own]
+        a, b, c = (key, j, p) if own.all() else (key[own], j[own], p[own])
         at = A._first_of_runs(a)
         row = np.repeat(np.arange(len(at)), np.diff(np.append(at, len(a))))
         if category == SORT:
@@ -83,9 +83,16 @@ def merge_rows(i, j, p, kind, plan: KernelPlan, buffer: A.DenseBuffer):
     return tuple(np.concatenate(x) for x in zip(*out))
 
 
-def chunked_merge(pairs: DataFrame, plan: KernelPlan, value: str = "long") -> DataFrame:
-    """(i, j, v) from (sub, i, j, p, kind) whose rows of one (sub, i) stand together in a partition. Holds ``WORK`` pairs, or one
-    row's; of a row with more than ``CARRY`` pairs the part at hand is merged first. With ``symbolic`` v is not summed: (i, nnz)."""
+def piece_key(sub: Column, kind, i: Column, n_rows: int, n_subs: int) -> Column:
+    """One number for (piece, category, row): sorting by it is a radix sort, and it takes a column in the exchange, not three."""
+    if n_rows * n_subs >= 1 << 60:
+        raise ValueError("rows times pieces exceed a 64-bit key")
+    return ((sub * 4 + kind) * n_rows + i).alias("key")
+
+
+def chunked_merge(pairs: DataFrame, n_rows: int, plan: KernelPlan, value: str = "long") -> DataFrame:
+    """(i, j, v) from (key, j, p): one exchange by key, then a pass over sorted pairs. Holds ``WORK`` pairs, or one
+    row piece's; of a piece with more than ``CARRY`` pairs the part at hand is merged first. With ``symbolic``: (i, nnz) per piece."""
     dtype = {"long": np.int64, "double": np.float64}[value]
     arrow = {"long": pa.int64(), "double": pa.float64()}[value]
 
@@ -93,38 +100,33 @@ def chunked_merge(pairs: DataFrame, plan: KernelPlan, value: str = "long") -> Da
         held, weight = [], 0
         buffer = A.DenseBuffer(dtype)
 
-        def pack(i, j, p):
+        def pack(key, j, p):
             if plan.symbolic:
-                at = A._first_of_runs(i)
-                return pa.RecordBatch.from_arrays([pa.array(i[at]), pa.array(np.diff(np.append(at, len(i))))], names=["i", "nnz"])
-            return pa.RecordBatch.from_arrays([pa.array(i), pa.array(j), pa.array(p, arrow)], names=["i", "j", "v"])
-
-        def joined():
-            return [np.concatenate(x) for x in zip(*held)]
+                order = np.argsort(key, kind="stable")
+                at = A._first_of_runs(key[order])
+                return pa.RecordBatch.from_arrays([pa.array(key[order][at] % n_rows), pa.array(np.diff(np.append(at, len(key))))], names=["i", "nnz"])
+            return pa.RecordBatch.from_arrays([pa.array(key % n_rows), pa.array(j), pa.array(p, arrow)], names=["i", "j", "v"])
 
         for batch in batches:
-            held.append([batch.column(c).to_numpy() for c in ("sub", "i", "j", "p", "kind")])
+            held.append([batch.column(c).to_numpy() for c in ("key", "j", "p")])
             weight += batch.num_rows
             if weight < WORK:
                 continue
-            sub, i, j, p, kind = joined()
-            change = np.flatnonzero((sub[1:] != sub[:-1]) | (i[1:] != i[:-1]))
-            cut = int(change[-1]) + 1 if len(change) else 0
+            key, j, p = (np.concatenate(x) for x in zip(*held))
+            cut = int(np.searchsorted(key, key[-1]))
             if cut:
-                for s in np.split(np.arange(cut), np.flatnonzero(sub[1:cut] != sub[:cut - 1]) + 1):
-                    yield pack(*merge_rows(i[s], j[s], p[s], kind[s], plan, buffer))
-            rest = [x[cut:] for x in (sub, i, j, p, kind)]
+                yield pack(*merge_rows(key[:cut], j[:cut], p[:cut], n_rows, plan, buffer))
+            rest = [x[cut:] for x in (key, j, p)]
             if len(rest[0]) >= CARRY:
-                a, b, c = merge_rows(*rest[1:], plan, buffer)
-                rest = [np.full(len(a), rest[0][0]), a, b, c, np.full(len(a), rest[4][0])]
-            held, weight = [rest], len(rest[0]) if len(rest[0]) < WORK else WORK - (1 << 17)
+                rest = list(merge_rows(*rest, n_rows, plan, buffer))
+            held, weight = [rest], min(len(rest[0]), WORK - WORK // 4)
         if held:
-            sub, i, j, p, kind = joined()
-            for s in np.split(np.arange(len(i)), np.flatnonzero(sub[1:] != sub[:-1]) + 1):
-                if len(s):
-                    yield pack(*merge_rows(i[s], j[s], p[s], kind[s], plan, buffer))
+            key, j, p = (np.concatenate(x) for x in zip(*held))
+            if len(key):
+                yield pack(*merge_rows(key, j, p, n_rows, plan, buffer))
 
-    return pairs.mapInArrow(run, "i long, nnz long" if plan.symbolic else f"i long, j long, v {value}")
+    dealt = pairs.select("key", "j", "p").repartition("key").sortWithinPartitions("key")
+    return dealt.mapInArrow(run, "i long, nnz long" if plan.symbolic else f"i long, j long, v {value}")
 
 
 def compress_sorted(pairs: DataFrame, value: str = "long") -> DataFrame:

@@ -70,9 +70,9 @@ def segmented_b(a, b, segments=8):
     length = segment_length(b, segments)
     visits = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("va")).join(segment_summary(b, segments).select(F.col("i").alias("k"), "seg"), "k")
     cut = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("vb"), F.floor(F.col("j") / length).alias("seg"))
-    pairs = visits.join(cut, ["k", "seg"]).select(F.col("seg").alias("sub"), "i", "j", (F.col("va") * F.col("vb")).alias("p"), F.lit(K.DENSE).cast("long").alias("kind"))
-    dealt = pairs.repartition("sub", "i").sortWithinPartitions("sub", "i")
-    return _c(K.chunked_merge(dealt, K.KernelPlan(0), T.value_type(a, b)), a, b)
+    key = K.piece_key(F.col("seg"), K.DENSE, F.col("i"), a.n_rows, segments)
+    pairs = visits.join(cut, ["k", "seg"]).select(key, "j", (F.col("va") * F.col("vb")).alias("p"))
+    return _c(K.chunked_merge(pairs, a.n_rows, K.KernelPlan(0), T.value_type(a, b)), a, b)
 
 
 def hash_product(a, b):

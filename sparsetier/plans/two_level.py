@@ -56,34 +56,36 @@ def setup(a: SparseMatrix, b: SparseMatrix, spec: SystemSpec, phase: str = "nume
 
 
 def pieces(a: SparseMatrix, b: SparseMatrix, plan: ChunkPlan, rows: DataFrame, options: Options) -> DataFrame:
-    """(sub, i, j, p, kind): the intermediate product, formed once, with its category and the piece of the row it belongs to."""
+    """(key, j, p): the intermediate product, formed once; the key has its row, its category and the piece of the row it belongs to."""
     kind = F.when(F.col("category") == "sort", K.SORT).when(F.col("category") == "dense", K.DENSE).otherwise(K.FINE)
     ways = F.when(F.col("category") == "fine", F.least(F.lit(plan.n_fine), F.ceil(F.col("n_inter") / SPLIT))).otherwise(1)
     tags = rows.select("i", kind.cast("long").alias("kind"), ways.cast("long").alias("ways"), (F.col("category") == "coarse").alias("split"))
     left = a.df.join(tags, "i").select("i", F.col("j").alias("k"), F.col("v").alias("va"), "kind", "ways", "split")
+    # small inputs make many products: a stated number of partitions keeps adaptive execution from putting them into one
+    left = left.repartition(int(left.sparkSession.conf.get("spark.sql.shuffle.partitions")), "k")
     right = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("vb"))
     joined = left.join(right, "k") if options.hub_products is None else B.salted_join(left, right, "k", options.hub_products)
     chunk = F.shiftright("j", plan.shift_fine)
     sub = F.when(F.col("split"), F.shiftright("j", plan.shift_coarse)).otherwise(F.pmod(chunk, F.col("ways")))
-    return joined.select(sub.cast("long").alias("sub"), "i", "j", (F.col("va") * F.col("vb")).alias("p"), "kind")
+    key = K.piece_key(sub.cast("long"), F.col("kind"), F.col("i"), a.n_rows, max(plan.n_coarse, plan.n_fine))
+    return joined.select(key, "j", (F.col("va") * F.col("vb")).alias("p"))
 
 
-def _merged(pairs: DataFrame, plan: ChunkPlan, options: Options, value: str, symbolic: bool = False) -> DataFrame:
-    dealt = pairs.repartition("sub", "i").sortWithinPartitions("sub", "i")
-    return K.chunked_merge(dealt, K.KernelPlan(plan.shift_fine, options.accumulator, options.threshold, options.pack, symbolic), value)
+def _kernel(plan: ChunkPlan, options: Options, symbolic: bool = False) -> K.KernelPlan:
+    return K.KernelPlan(plan.shift_fine, options.accumulator, options.threshold, options.pack, symbolic)
 
 
 def two_level(a: SparseMatrix, b: SparseMatrix, spec: SystemSpec = SPR, options: Options = Options()) -> SparseMatrix:
     """Numeric phase: C = A·B."""
     plan, rows = setup(a, b, spec, "numeric", options)
-    return SparseMatrix(_merged(pieces(a, b, plan, rows, options), plan, options, value_type(a, b)), a.n_rows, b.n_cols)
+    return SparseMatrix(K.chunked_merge(pieces(a, b, plan, rows, options), a.n_rows, _kernel(plan, options), value_type(a, b)), a.n_rows, b.n_cols)
 
 
 def symbolic_phase(a: SparseMatrix, b: SparseMatrix, spec: SystemSpec = SPR, options: Options = Options()) -> DataFrame:
     """Exact (i, nnz) by the same chunks with bit maps; no multiplication."""
     ones = lambda m: SparseMatrix(m.df.select("i", "j", F.lit(1).cast("long").alias("v")), m.n_rows, m.n_cols)
     plan, rows = setup(a, b, spec, "symbolic", options)
-    found = _merged(pieces(ones(a), ones(b), plan, rows, options), plan, options, "long", symbolic=True)
+    found = K.chunked_merge(pieces(ones(a), ones(b), plan, rows, options), a.n_rows, _kernel(plan, options, True))
     return found.groupBy("i").agg(F.sum("nnz").alias("nnz"))  # rows dealt in pieces
 
 
@@ -130,6 +132,5 @@ def coarse_fine(a: SparseMatrix, b: SparseMatrix, spec: SystemSpec = SPR, option
     value = value_type(a, b)
     batches = B.coarse_batches(B.intermediate_rows(a, b), TYPES, options.batch_bytes, spec.l2_bytes, coarse_counter_bytes(plan.n_coarse, spec, TYPES))
     pairs = coarse_pairs(a, b, plan).join(batches.select("i", "batch_id"), "i")
-    pairs = pairs.select((F.col("batch_id") * plan.n_coarse + F.col("coarse")).alias("sub"), "i", "j", "p", F.lit(K.FINE).cast("long").alias("kind"))
-    dealt = pairs.repartition("sub", F.shiftright("i", 6)).sortWithinPartitions("sub", "i")
-    return SparseMatrix(K.chunked_merge(dealt, K.KernelPlan(plan.shift_fine, options.accumulator, options.threshold, options.pack), value), a.n_rows, b.n_cols)
+    key = K.piece_key(F.pmod("batch_id", F.lit(1024)) * plan.n_coarse + F.col("coarse"), K.FINE, F.col("i"), a.n_rows, plan.n_coarse << 10)
+    return SparseMatrix(K.chunked_merge(pairs.select(key, "j", "p"), a.n_rows, _kernel(plan, options), value), a.n_rows, b.n_cols)

@@ -12,6 +12,7 @@ from sparsetier.functions import measures as C
 from sparsetier.functions import params as P
 from sparsetier.operators import accumulators as A
 from sparsetier.operators import blocks as B
+from sparsetier.plans import kernel as K
 from sparsetier.plans import products as M
 from sparsetier.plans import two_level as T
 from sparsetier.sources import matrices as S
@@ -55,11 +56,10 @@ def block_seconds(pairs: DataFrame, length: int, n_chunks: int) -> list[tuple[st
     shift = max(0, (length // n_chunks).bit_length() - 1)
     rows = pairs.select(F.shiftright("pos", 16).alias("i"), F.col("pos").alias("k"), F.col("idx").alias("j"), F.col("val").cast("long").alias("p"))
     hist = B.histogram(rows, shift)
-    # the exchange by chunk is the reordering, a stable one as pairs stay in their order inside a chunk
-    dealt = rows.select(F.shiftright("j", shift).alias("sub"), "i", "j", "p", F.lit(2).cast("long").alias("kind")).repartition("sub", "i").sortWithinPartitions("sub", "i")
-    from sparsetier.plans import kernel as K
-
-    work = {"copy": pairs, "histogram": hist, "prefix_sum": B.prefix_sum(hist, ["i"], "chunk", "cnt"), "reorder": dealt, "accumulate": K.chunked_merge(dealt, K.KernelPlan(shift))}
+    n_rows = 1 << 31
+    keyed = rows.select(K.piece_key(F.shiftright("j", shift), K.FINE, F.col("i"), n_rows, n_chunks), "j", "p")
+    dealt = keyed.repartition("key").sortWithinPartitions("key")  # the exchange by chunk is the reordering
+    work = {"copy": pairs, "histogram": hist, "prefix_sum": B.prefix_sum(hist, ["i"], "chunk", "cnt"), "reorder": dealt, "accumulate": K.chunked_merge(keyed, n_rows, K.KernelPlan(shift))}
     return [(name, C.PhaseTimer(1, 0).time(name, lambda df=df: C.drain(df))) for name, df in work.items()]
 
 
