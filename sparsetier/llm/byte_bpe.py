@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from sparsetier.llm.common import arrow_rows, texts_of
 
-BLOCK_CHARS, ROW_TOKENS, HELD_WORDS = 16 << 20, 1 << 17, 1 << 20
+BLOCK_CHARS, ROW_TOKENS, HELD_WORDS = 12 << 20, 1 << 17, 1 << 20
 #: White space of Unicode and of Python; a blank between two other characters always starts a pre-token.
 _SPACES = "".join(c for c in map(chr, range(0x3001)) if c.isspace() and c != " ")
 _GAP = re.compile(r"(?<=\S) (?=\S)")
@@ -85,7 +85,7 @@ class _Words(dict):
 
     def __missing__(self, piece: str) -> bytes:
         out = []
-        for word in self.split(self.lead + piece):
+        for word in [self.lead + piece] if piece.isalpha() else self.split(self.lead + piece):  # letters are one pre-token
             raw = word.encode()
             n = self.ranks.get(raw)
             out.append(self.base + self.numbers.setdefault(raw, len(self.numbers)) if n is None else n)
@@ -281,11 +281,13 @@ def digests(decoded: DataFrame) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of encoded and decoded documents."""
 
     def run(batches):
+        decimal: list[str] = []  # of every id up to the largest met: bounded by the vocabulary
         for batch in batches:
             lists, out = batch.column("ids"), []
             ends, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
+            decimal.extend(map(str, range(len(decimal), int(flat.max()) + 1 if len(flat) else 0)))
             for doc_id, a, b, data in zip(batch.column("doc_id").to_pylist(), ends, ends[1:], batch.column("data").to_pylist()):
-                out.append((doc_id, int(b - a), hashlib.sha256(" ".join(map(str, flat[a:b].tolist())).encode()).hexdigest(), hashlib.sha256(data).hexdigest()))
+                out.append((doc_id, int(b - a), hashlib.sha256(" ".join(map(decimal.__getitem__, flat[a:b].tolist())).encode()).hexdigest(), hashlib.sha256(data).hexdigest()))
             cols = list(zip(*out)) or [()] * 4
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), pa.string()))], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
