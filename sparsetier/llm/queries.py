@@ -19,7 +19,7 @@ def op2_byte_bpe(spark, sf_dir):
 
 
 def op3_quality_rules(spark, sf_dir):
-    return quality_rules.quality_measures(table(spark, sf_dir, "documents").select("doc_id", "text")).select(quality_rules.COLUMNS)
+    return quality_rules.quality_measures(table(spark, sf_dir, "documents")).select(quality_rules.COLUMNS)
 
 
 def op4_token_files(spark, sf_dir):
@@ -51,4 +51,4 @@ def queries():
 
 
 def oracle_sql():
-    return {}
+    return {"op3_quality_rules": quality_rules.SQL}
