@@ -1,10 +1,13 @@
 """Benchmark decontamination by pigeonhole edit matching.
 
-Texts and items are lower-cased and reduced to letters and digits with single blanks. An item may occur with at most
-k = max(1, 5 % of its length) edits; it is cut into k + 1 pieces, of which one must occur unchanged. Exact piece hits
-(Aho-Corasick) give windows that Myers' bit-parallel distance verifies. Items are handled in blocks of bounded bytes, one pass
-over all rows per block. Items shorter than ``min_chars`` after reduction are matched exactly (k = 0) on word
-boundaries; null or empty items and texts match nothing. Repeated items and rows keep their own rows.
+Texts and items are lower-cased and reduced to letters and digits with single blanks. An item may occur with as many edits k as 5 % of
+its length, rounded; it is cut into k + 1 pieces, of which one must occur unchanged. Exact piece hits (Aho-Corasick) give windows that
+Myers' bit-parallel distance verifies. An item too short for an edit (under 10 characters) has one piece and must stand there on word
+boundaries. Items, a stated query set, are handled in blocks of bounded bytes, one pass over all rows per block; of several
+blocks each is written before the next is read.
+
+Null or empty items and texts match nothing. Repeated items and rows keep their own rows; a null doc_id is given as it is. Of an item's
+places in a text the nearest match, then the first, counts. Whole texts are searched, however long. Other input columns are ignored.
 """
 
 from __future__ import annotations
@@ -15,7 +18,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import arrow_rows, texts_of
+from sparsetier.llm.common import Scratch, arrow_rows, texts_of
 
 _JUNK = re.compile(r"[\W_]+")
 ITEM_SCHEMA = "doc_id long, item_id long, distance int, place long"
@@ -25,8 +28,8 @@ def reduce_text(text: str) -> str:
     return _JUNK.sub(" ", text.lower()).strip()
 
 
-def budget(item: str, share: float = 0.05, min_chars: int = 60) -> int:
-    return max(1, int(len(item) * share)) if len(item) >= min_chars else 0
+def budget(item: str, share: float = 0.05) -> int:
+    return int(len(item) * share + 0.5)
 
 
 def pieces(item: str, k: int) -> list[tuple[int, str]]:
@@ -60,8 +63,8 @@ def myers_best(pattern: str, text: str) -> tuple[int, int]:
     return best, end
 
 
-def _block_matches(texts: DataFrame, items: list[tuple[int, str]]) -> DataFrame:
-    shared = texts.sparkSession.sparkContext.broadcast(items)
+def _block_matches(texts: DataFrame, shared) -> DataFrame:
+    """Matches of one broadcast block of items."""
 
     def start():
         import ahocorasick
@@ -111,17 +114,32 @@ def _block_matches(texts: DataFrame, items: list[tuple[int, str]]) -> DataFrame:
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, block_bytes: int = 8 << 20) -> DataFrame:
     """(doc_id, item_id, distance, place): one row per document row and item that occurs in it within the budget."""
-    texts = texts_of(docs)
-    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").where("text is not null")
-    blocks, block, size = [], [], 0
-    for r in items.orderBy("item_id", "text").toLocalIterator():  # the stated query set, block by block
-        if not reduce_text(r.text):
-            continue
-        block.append((r.item_id, r.text))
-        size += len(r.text)
-        if size >= block_bytes:
-            blocks.append(_block_matches(texts, block))
-            block, size = [], 0
-    if block:
-        blocks.append(_block_matches(texts, block))
-    return reduce(DataFrame.unionByName, blocks) if blocks else docs.sparkSession.createDataFrame([], ITEM_SCHEMA)
+    texts, spark = texts_of(docs), docs.sparkSession
+    items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), "text").where("text is not null").orderBy("item_id", "text")
+    scratch, written = Scratch(spark), []
+
+    def blocks():
+        block, size = [], 0
+        for r in items.toLocalIterator():  # the stated query set, block by block
+            if not reduce_text(r.text):
+                continue
+            block.append((r.item_id, r.text))
+            size += len(r.text)
+            if size >= block_bytes:
+                yield block
+                block, size = [], 0
+        if block:
+            yield block
+
+    ahead = blocks()
+    block = next(ahead, None)
+    while block is not None:
+        after = next(ahead, None)
+        shared = spark.sparkContext.broadcast(block)
+        found = _block_matches(texts, shared)
+        if after is None and not written:
+            return found
+        written.append(scratch.write(found, "matches"))
+        shared.unpersist()
+        block = after
+    return reduce(DataFrame.unionByName, written) if written else spark.createDataFrame([], ITEM_SCHEMA)
