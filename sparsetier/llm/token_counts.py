@@ -2,11 +2,14 @@
 
 Batches given to the tokenizer are balanced by bytes, and long texts are cut where the pre-tokenizer always
 starts a new piece: before a single blank or newline with non-blank neighbours. Null or empty text: 0 tokens. Texts
-without such a place stay whole. Repeated rows give repeated rows; other input columns are ignored.
+without such a place stay whole, as do all texts where the vocabulary's pre-tokenizer is not the byte-level one. Repeated rows, and rows
+with repeated or null doc_ids, give a row each; other input columns are ignored, whatever their names. Very long texts need a
+few times their own size.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import re
 
@@ -51,7 +54,9 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = 1024, batch_byte
             tok.no_truncation()
             tok.no_padding()
             lengths = lambda xs: [len(e) for e in tok.encode_batch_fast(xs, add_special_tokens=False)]
-            cut = lambda text: safe_pieces(text, piece_chars)
+            first = json.loads(tok.to_str()).get("pre_tokenizer") or {}
+            safe = first.get("type") == "ByteLevel" and first.get("use_regex", True) and not first.get("add_prefix_space")
+            cut = (lambda text: safe_pieces(text, piece_chars)) if safe else (lambda text: [text])
 
         def work(cols):
             totals = [0] * len(cols["text"])
@@ -65,7 +70,7 @@ def token_counts(docs: DataFrame, vocabulary: str, limit: int = 1024, batch_byte
                 for piece in cut(text):
                     held.append(piece)
                     owners.append(owner)
-                    weight += len(piece)
+                    weight += len(piece) if piece.isascii() else len(piece.encode("utf-8", "surrogatepass"))
                     if weight >= batch_bytes:
                         drain()
                         held, owners, weight = [], [], 0
