@@ -145,12 +145,35 @@ def test_near_dedup(docs, empty, spark):
 
 
 def test_quality(docs, empty):
-    got = {r.doc_id: r for r in quality_rules.quality_measures(docs.drop("kept")).collect()}
+    got = {r.doc_id: r for r in quality_rules.quality_measures(docs).collect()}
     assert (got[8].n_words, got[8].n_repeat_words, got[8].base_failed) == (12, 11, True)
     assert got[7].n_dup_lines == 1 and got[4].n_words == 0 and got[1].kept
     assert quality_rules.quality_measures(empty).count() == 0
 
 
+def test_quality_lines(spark):
+    good = "This is a line of quite ordinary words that ends as a sentence does."
+    other = "Quite another sentence stands here in its place, and it ends well."
+    rows = [(1, f"{good}\nHome | News | Contact.\nno mark at the end of it\nRead more.\nAlle Rechte vorbehalten.\n{other}"),
+            (2, "no mark here and so this line goes away\n" * 9 + good), (None, good), (None, good), (3, good + " Read more " + "of it " * 40 + "now.")]
+    docs = spark.createDataFrame([(i, t, "clash", 7, "w") for i, t in rows], "doc_id long, text string, kept string, n_words int, whole_row string")
+    got = sorted(quality_rules.clean_documents(docs).collect(), key=lambda r: (r.doc_id is None, r.doc_id))
+    assert [(r.doc_id, r.text) for r in got] == [(1, f"{good}\n{other}"), (None, good), (None, good)]
+    assert all((r.kept, r.n_words, r.whole_row) == ("clash", 7, "w") for r in got)
+    assert quality_rules.clean_documents(docs.where("false")).columns == docs.columns
+
+
+def test_quality_equals_sql(spark, docs):
+    import duckdb
+
+    rows = docs.select("doc_id", "text").unionByName(spark.createDataFrame([(8, "x"), (8, "x"), (None, "a b c d e\n" * 6)], "doc_id long, text string"))
+    con = duckdb.connect()
+    con.register("documents", rows.toArrow())
+    order = lambda found: sorted(tuple(map(str, r)) for r in found)
+    got, want = quality_rules.quality_measures(rows).select(quality_rules.COLUMNS).collect(), con.sql(quality_rules.SQL).fetchall()
+    assert order(got) == order(want)
+
+
 def test_toxicity(spark, docs, empty):
     rows = [(n, f"Plain words here w{n % 7}. " + ("You vile thing! " if n % 3 == 0 else "Nice day! ") + "The end.") for n in range(300)]
     table = spark.createDataFrame(rows, "doc_id long, text string")
@@ -182,6 +205,47 @@ def test_decontaminate(spark, docs, empty):
     assert decontaminate.contaminated(empty, bench).count() == 0 == decontaminate.contaminated(docs, bench.where("false")).count()
 
 
+def least_distance(item, text):
+    """Plain version: the whole table of edit distances against any substring."""
+    row = list(range(len(item) + 1))
+    best = row[-1]
+    for c in text:
+        above, row = row, [0]
+        for n, x in enumerate(item, 1):
+            row.append(min(above[n - 1] + (x != c), above[n] + 1, row[n - 1] + 1))
+        best = min(best, row[-1])
+    return best
+
+
+@pytest.mark.parametrize("block_bytes", [8 << 20, 200])
+def test_decontaminate_all_lengths(spark, block_bytes):
+    """Items of 3 to 300 characters with edits at random places, in one block and in many, against the whole distance table."""
+    rng = np.random.default_rng(11)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), rng.integers(2, 8)))
+    items = [(n, " ".join(word() for _ in range(k))) for n, k in enumerate([1, 2, 2, 3, 4, 6, 8, 10, 20, 40])] + [(8, " ".join(word() for _ in range(9))), (50, ""), (51, None), (None, "null id item here")]
+    rows = []
+    for n in range(60):
+        text = [word() for _ in range(rng.integers(0, 60))]
+        own = items[rng.integers(0, 10)][1]
+        chars = list(own)
+        for _ in range(rng.integers(0, 2 + len(own) // 15)):
+            at = int(rng.integers(0, len(chars)))
+            chars[at:at + 1] = [[], ["x"], [chars[at], "y"]][rng.integers(0, 3)]
+        text.insert(int(rng.integers(0, len(text) + 1)), "".join(chars))
+        rows.append((n // 2 if n % 9 else None, " ".join(text).title()))
+    rows += [(70, None), (71, "")]
+    got = decontaminate.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string"), block_bytes).collect()
+    want = Counter()
+    for i, t in rows:
+        flat = f" {decontaminate.reduce_text(t or '')} "
+        for n, x in items:
+            item = decontaminate.reduce_text(x or "")
+            k = decontaminate.budget(item)
+            if item and (f" {item} " in flat if k == 0 else least_distance(item, flat) <= k):
+                want[i, n] += 1
+    assert Counter((r.doc_id, r.item_id) for r in got) == want and len(want) > 20
+
+
 def test_myers():
     assert decontaminate.myers_best("abcd", "xxabxcdyy")[0] == 1
     assert decontaminate.myers_best("abcd", "xxabcdyy") == (0, 6)
@@ -195,10 +259,22 @@ def test_license(docs, empty):
 
 
 def test_license_whole_notices(spark):
-    notices = {label: text for label, (text, _) in license_scan.TEMPLATES.items()}
+    notices = [(label, text) for label, text, _ in license_scan.TEMPLATES]
     prose = "Some words can be put by hand in a file for each form, except for the code; 4 are free of charge, may apply, and this is any copy you use."
-    rows = [(0, "\n".join(notices.values()))] + [(n, f"{prose}\n{text}") for n, text in enumerate(notices.values(), 1)] + [(99, prose)]
-    got = {r.doc_id: r for r in license_scan.license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    assert got[0].labels == ",".join(sorted(notices)) and got[99].labels == ""
-    for n, label in enumerate(notices, 1):
-        assert label in got[n].labels.split(",") and got[n].score == 1.0
+    rows = [(0, "\n".join(t for _, t in notices))] + [(n, f"{prose}\n{text}") for n, (_, text) in enumerate(notices, 1)] + [(99, prose), (99, prose), (None, "x " * 5000 + notices[0][1])]
+    got = license_scan.license_scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    found = {r.doc_id: r for r in got}
+    assert len(got) == len(rows)
+    assert set(found[0].labels.split(",")) == {label for label, _ in notices} and found[99].labels == ""
+    for n, (label, _) in enumerate(notices, 1):
+        assert label in found[n].labels.split(",") and found[n].score == 1.0
+    assert found[None].labels == "mit" and found[None].n_words == 5005
+
+
+def test_license_needs_place_and_phrase():
+    index = license_scan.Index()
+    assert index.scan("the mit license released under it was")[3] == set()  # the words, but not in their places
+    assert index.scan("Released under the MIT licence")[3] == set()  # no key phrase
+    assert index.scan("released under the new mit license today, under the mit license")[3] == {"mit"}
+    rare = license_scan.Index(rarity={"mit": 1, "the": 1000}, n_docs=1000)
+    assert rare.weight["mit"] > rare.weight["the"]
