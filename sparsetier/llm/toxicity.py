@@ -58,7 +58,7 @@ def _maximize(doc, word, times, n_words, y, penalty: float, steps: int = 80):
     use = ((seen >= LEAST_DOCS) & (good > penalty) & (good > 2 * y.mean() * seen))[word]
     doc, word, times = doc[use], word[use], times[use]
     exposure = np.bincount(word, times, n_words) + 1.0
-    theta, leak = np.bincount(word, y[doc] * times, n_words) / exposure, y.mean()
+    theta, leak = np.bincount(word, y[doc] * times, n_words) / exposure, max(1e-6, y.mean())
     for _ in range(steps):
         x = np.bincount(doc, theta[word] * times, len(y)) + leak
         blame = y / -np.expm1(-x)  # labels per unit of intensity

@@ -5,7 +5,8 @@ refer to it. Archives are byte blobs of bounded size, one gzip member per record
 (only Spark's writers reach every shared store). Reading: each archive gives a locally sorted run of captures;
 runs are dealt by ranges of (URL key, timestamp, page_id) and the pieces of the runs in a range are merged by a loser
 tree, so the whole is ordered. Null html: empty payload. A null url has an empty key. Rows that repeat the smallest
-page_id are all responses. The capture time is ``EPOCH`` plus page_id seconds, as the table has none.
+page_id are all responses. Payloads are whole, however long; one is held at a time. Other input
+columns are ignored. The capture time is ``EPOCH`` plus page_id seconds, as the table has none.
 """
 
 from __future__ import annotations
