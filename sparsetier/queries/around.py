@@ -116,9 +116,9 @@ add("j7_range", _range, INTER + "select i, j >> 6 chunk, count(*) n, min(j) low,
 
 
 def _interval(s, d):
-    events = table(s, d, "events").select("user_id", "ts", F.date_trunc("hour", "ts").alias("hour"))
+    events = table(s, d, "events").select("user_id", S.instant(F.col("ts")).alias("ts")).withColumn("hour", F.timestamp_seconds(F.floor(F.unix_seconds("ts") / 3600) * 3600))
     hours = events.select("hour").distinct().select(F.col("hour").alias("h"), (F.col("hour") + F.expr("interval 1 hour")).alias("h_end"))
-    return events.join(hours, (F.col("hour") == F.col("h")) & (F.col("ts") >= F.col("h")) & (F.col("ts") < F.col("h_end"))).groupBy("user_id", "h").agg(F.count("*").alias("n")).select("user_id", F.unix_seconds(F.col("h").cast("timestamp")).alias("hour"), "n")
+    return events.join(hours, (F.col("hour") == F.col("h")) & (F.col("ts") >= F.col("h")) & (F.col("ts") < F.col("h_end"))).groupBy("user_id", "h").agg(F.count("*").alias("n")).select("user_id", F.unix_seconds("h").alias("hour"), "n")
 
 
 add("j8_interval", _interval, "select user_id, cast(epoch(date_trunc('hour', ts)) as bigint) \"hour\", count(*) n from events group by 1, 2")
@@ -216,7 +216,7 @@ add("k6_balanced_blocks", lambda s, d: R.row_blocks(B.intermediate_rows(*pair(s,
     INTER + ", r as (select i, count(*) n_inter from x group by 1) select i, n_inter, cast(floor((sum(n_inter) over (order by i) - n_inter) * 8 / (select count(*) from x)) as bigint) \"block\" from r")
 add("k6_ntile", lambda s, d: S.part_supplier(s, d).df.select("i", "j", F.ntile(4).over(Window.partitionBy("j").orderBy("i")).cast("long").alias("part"), F.cume_dist().over(Window.partitionBy("j").orderBy("i")).alias("cd"), F.percent_rank().over(Window.partitionBy("j").orderBy("i")).alias("pr")),
     f"with {PS} select i, j, ntile(4) over w part, cume_dist() over w cd, percent_rank() over w pr from ps window w as (partition by j order by i)")
-add("k7_last_hour", lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_seconds(F.col("ts").cast("timestamp"))).rangeBetween(-3600, 0)).alias("n")),
+add("k7_last_hour", lambda s, d: table(s, d, "events").select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy(F.unix_seconds(S.instant(F.col("ts")))).rangeBetween(-3600, 0)).alias("n")),
     "select event_id, count(*) over (partition by user_id order by cast(floor(epoch(ts)) as bigint) range between 3600 preceding and current row) n from events")
 add("k8_running_bytes", lambda s, d: S.order_part(s, d).df.select("i", "j", (F.sum(F.lit(16)).over(Window.partitionBy("i").orderBy("j").rowsBetween(Window.unboundedPreceding, 0))).alias("bytes")), f"with {OP} select i, j, cast(16 * row_number() over (partition by i order by j) as bigint) bytes from op")
 

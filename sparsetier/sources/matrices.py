@@ -52,6 +52,11 @@ def next_part(spark: SparkSession, sf_dir: str) -> SparseMatrix:
     return SparseMatrix.from_table(rows, "a", "b", F.lit(1), n, n)
 
 
+def instant(ts: Column) -> Column:
+    """A time without zone read as UTC, whatever the session's zone."""
+    return F.concat(ts.cast("timestamp_ntz").cast("string"), F.lit("+00:00")).cast("timestamp")
+
+
 def next_user(spark: SparkSession, sf_dir: str) -> SparseMatrix:
     """Counts of consecutive users inside an hour."""
     from pyspark.sql import Window
@@ -63,7 +68,7 @@ def next_user(spark: SparkSession, sf_dir: str) -> SparseMatrix:
 
 
 def user_hour(spark: SparkSession, sf_dir: str) -> SparseMatrix:
-    rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 3600).alias("hour"))
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").select("user_id", F.floor(F.unix_seconds(instant(F.col("ts"))) / 3600).alias("hour"))
     first = rows.agg(F.min("hour")).first()[0] or 0
     rows = rows.withColumn("hour", F.col("hour") - first)
     return SparseMatrix.from_table(rows, "user_id", "hour", F.lit(1), _size(spark, sf_dir, "events", "user_id"), (rows.agg(F.max("hour")).first()[0] or 0) + 1)

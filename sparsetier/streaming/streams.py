@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from sparsetier.sources.matrices import SparseMatrix
+from sparsetier.sources.matrices import SparseMatrix, instant
 from sparsetier.store import Scratch
 
 
@@ -21,7 +21,7 @@ def source(spark: SparkSession, sf_dir: str, table: str, files_per_trigger: int
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return source(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return source(spark, sf_dir, "events").withColumn("ts", instant(F.col("ts")))
 
 
 def drained(stream: DataFrame, mode: str, checkpoint: str | None = None, out: str | None = None) -> DataFrame:
