@@ -235,20 +235,23 @@ def token_table(spark, ranks_name: str) -> DataFrame:
     return spark.createDataFrame([(rank, bytearray(token)) for token, rank in load_ranks(ranks_name).items()], "token int, piece binary")
 
 
-def decode(encoded: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken") -> DataFrame:
-    """(doc_id, ids, data): rows with ``ids`` and their decoded bytes."""
+def _reassembled(encoded: DataFrame, ranks_name: str, finish, schema: str) -> DataFrame:
+    """Rows of ``schema`` that ``finish(doc_id, ids, data)`` makes of every document: its ids joined with the token-byte table, one row
+    each, and put together by position in the task that dealt them out, in which order and partition do not change."""
     placed = encoded.select(F.monotonically_increasing_id().alias("place"), "doc_id", "ids")
     rows = placed.select("place", "doc_id", F.explode_outer("ids").alias("token"))
     joined = rows.join(F.broadcast(token_table(encoded.sparkSession, ranks_name)), "token", "left").select("place", "doc_id", "token", "piece")
+    target = encoded.sparkSession.createDataFrame([], schema).schema
 
     def run(batches):
+        from pyspark.sql.pandas.types import to_arrow_schema
+
+        arrow = to_arrow_schema(target)
         held: list = []  # (doc_id, token arrays, byte strings) of the document that may go on
 
         def pack(docs):
-            ids = [np.concatenate(t) for _, t, _ in docs]
-            offsets = np.concatenate([[0], np.cumsum([len(t) for t in ids])]).astype(np.int32)
-            lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(ids).astype(np.int32)))
-            return pa.RecordBatch.from_arrays([pa.array([d for d, _, _ in docs], pa.int64()), lists, pa.array([b"".join(p) for _, _, p in docs], pa.binary())], names=["doc_id", "ids", "data"])
+            out = [finish(d, np.concatenate(t), b"".join(p)) for d, t, p in docs]
+            return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out), arrow)], schema=arrow)
 
         last = None
         for batch in batches:
@@ -274,21 +277,22 @@ def decode(encoded: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken") -> Dat
         if held:
             yield pack(held)
 
-    return joined.mapInArrow(run, "doc_id long, ids array<int>, data binary")
+    return joined.mapInArrow(run, schema)
+
+
+def decode(encoded: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken") -> DataFrame:
+    """(doc_id, ids, data): rows with ``ids`` and their decoded bytes."""
+    return _reassembled(encoded, ranks_name, lambda doc_id, ids, data: (doc_id, ids.tolist(), data), "doc_id long, ids array<int>, data binary")
 
 
-def digests(decoded: DataFrame) -> DataFrame:
-    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of encoded and decoded documents."""
+def digests(encoded: DataFrame, ranks_name: str = "byte_bpe_50k.tiktoken") -> DataFrame:
+    """(doc_id, n_tokens, ids_sha256, decoded_sha256) of encoded documents, which are decoded for it."""
+    decimal: list[str] = []  # of every id up to the largest met: bounded by the vocabulary
 
-    def run(batches):
-        decimal: list[str] = []  # of every id up to the largest met: bounded by the vocabulary
-        for batch in batches:
-            lists, out = batch.column("ids"), []
-            ends, flat = lists.offsets.to_numpy(), lists.values.to_numpy()
-            decimal.extend(map(str, range(len(decimal), int(flat.max()) + 1 if len(flat) else 0)))
-            for doc_id, a, b, data in zip(batch.column("doc_id").to_pylist(), ends, ends[1:], batch.column("data").to_pylist()):
-                out.append((doc_id, int(b - a), hashlib.sha256(" ".join(map(decimal.__getitem__, flat[a:b].tolist())).encode()).hexdigest(), hashlib.sha256(data).hexdigest()))
-            cols = list(zip(*out)) or [()] * 4
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.string(), pa.string()))], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
-
-    return decoded.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    def finish(doc_id, ids, data):
+        if len(ids) and ids.max() >= len(decimal):
+            decimal.extend(map(str, range(len(decimal), int(ids.max()) + 1)))
+        text = " ".join(map(decimal.__getitem__, ids.tolist()))
+        return doc_id, len(ids), hashlib.sha256(text.encode()).hexdigest(), hashlib.sha256(data).hexdigest()
+
+    return _reassembled(encoded, ranks_name, finish, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")

@@ -25,7 +25,7 @@ LABELS = [(n, int(n % 3 == 0)) for n in range(300)]
 
 @pytest.mark.parametrize("name, apply", {
     "op1": suffix_dedup.repeat_report,
-    "op2": lambda d: byte_bpe.digests(byte_bpe.decode(byte_bpe.encode(d))),
+    "op2": lambda d: byte_bpe.digests(byte_bpe.encode(d)),
     "op3": quality_rules.quality_measures,
     "op4": lambda d: token_files.read_shards(*token_files.write_shards(d)),
     "op5": lambda d: token_counts.token_counts(d, "byte_bpe_50k.json"),
@@ -47,7 +47,7 @@ def test_long_text_values(spark, docs):
     import tiktoken
 
     coder = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_bpe.load_ranks("byte_bpe_50k.tiktoken"), special_tokens={})
-    two = max(byte_bpe.digests(byte_bpe.decode(byte_bpe.encode(docs, block_chars=1 << 16))).collect(), key=lambda r: r.n_tokens)
+    two = max(byte_bpe.digests(byte_bpe.encode(docs, block_chars=1 << 16)).collect(), key=lambda r: r.n_tokens)
     ids = coder.encode_ordinary(LONG)
     assert (two.n_tokens, two.decoded_sha256) == (len(ids), hashlib.sha256(raw).hexdigest())
     assert max(r.n_tokens for r in token_counts.token_counts(docs, "byte_bpe_50k.json").collect()) == len(ids)
