@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from sparsetier.llm.common import Scratch, arrow_rows
 
 WIDTH, GRAM, WORD_GRAM = 400, 64, 8
-BLOCK, BATCH_BYTES, HOT_BYTES = 1 << 20, 1 << 20, 2 << 20
+BLOCK, BATCH_BYTES, HOT_BYTES = 1 << 20, 1 << 19, 1 << 19
 _P = np.uint64((1 << 61) - 1)
 _U = np.uint64
 _BLANK = np.zeros(256, dtype=bool)
