@@ -26,7 +26,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import arrow_rows, texts_of
+from sparsetier.llm.common import arrow_rows, give_back, texts_of
 
 BLOCK_CHARS, ROW_TOKENS, HELD_WORDS = 12 << 20, 1 << 17, 1 << 20
 #: White space of Unicode and of Python; a blank between two other characters always starts a pre-token.
@@ -149,6 +149,7 @@ def _blocks(texts: DataFrame, ranks_name: str, parts: int, block_chars: int) ->
                     numbers, first, rest, docs, size = fresh()
         if docs:
             yield from finish()
+        give_back()
 
     return texts.mapInArrow(run, _PACKED)
 
@@ -276,6 +277,7 @@ def _reassembled(encoded: DataFrame, ranks_name: str, finish, schema: str) -> Da
                 yield pack(done)
         if held:
             yield pack(held)
+        give_back()
 
     return joined.mapInArrow(run, schema)
 

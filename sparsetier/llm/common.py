@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import sys
 import types
 from collections.abc import Callable, Iterator
@@ -26,6 +27,15 @@ def held_by_process(key, make: Callable):
     return holder.__dict__[key]
 
 
+def give_back() -> None:
+    """Return freed memory to the system at the end of a task: Spark keeps idle Python workers, and what they hold counts."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def materialize(df: DataFrame, tag: str) -> DataFrame:
     """Write a table to the shared folder and read it again."""
     return Scratch(df.sparkSession).write(df, tag)
@@ -64,5 +74,6 @@ def arrow_rows(df: DataFrame, schema: str, start: Callable[[], Callable[[dict],
                         out, weight = [], 0
         if out:
             yield pack()
+        give_back()
 
     return df.mapInArrow(run, schema)

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsetier.llm.common import Scratch, arrow_rows
+from sparsetier.llm.common import Scratch, arrow_rows, give_back
 
 WIDTH, GRAM, WORD_GRAM = 400, 64, 8
 BLOCK, BATCH_BYTES, HOT_BYTES = 1 << 20, 1 << 19, 1 << 19
@@ -389,6 +389,7 @@ def _compare(contents: DataFrame, modes) -> DataFrame:
                 last = row[:4]
         if held:
             yield pack(held)
+        give_back()
 
     dealt = contents.repartition("by_word", "low").sortWithinPartitions("by_word", "low", "tkey", "at")
     return dealt.mapInArrow(run, "by_word boolean, tkey binary, at int, n int")
