@@ -85,6 +85,21 @@ def test_suffix_dedup_random(spark, hot, monkeypatch):
     assert Counter((r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in got) == Counter(want)
 
 
+@pytest.mark.parametrize("hot", [False, True])
+def test_suffix_dedup_short_passages(spark, hot, monkeypatch):
+    """A passage of 51 short words is under 400 bytes; whatever white space parts its words, the report tells it and cuts nothing."""
+    if hot:
+        monkeypatch.setattr(suffix_dedup, "HOT_BYTES", 0)
+    words = [f"w{n}" for n in range(51)]
+    texts = ["one " + " ".join(words) + " end", "two " + "\n".join(words) + " é", " ".join(words[:50]) + " other", None, "é " + " ".join(words * 2)]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = sorted(suffix_dedup.repeat_report(docs, words=51).collect())
+    size = len(" ".join(words))
+    assert [(r.passage_bytes, r.n_passages) for r in got] == [(size, 1), (size, 1), (0, 0), (0, 0), (2 * size, 2)]
+    assert [tuple(r)[:5] for r in got] == [tuple(r) for r in sorted(suffix_dedup.repeat_report(docs).collect())]
+    assert not any(r.n_removed for r in got)
+
+
 def test_suffix_dedup_no_collision_by_construction(spark):
     """A string and its complement whose polynomial hashes modulo 2**64 agree for any base are still told apart."""
     bits = [bin(n).count("1") % 2 for n in range(2048)]

@@ -41,6 +41,22 @@ def test_op1(spark, texts):
             len(t), gone.sum(), int(gone[0]) + (gone[1:] & ~gone[:-1]).sum(), hashlib.sha256(kept).hexdigest()), r.doc_id
 
 
+def test_op1_passages(spark, texts):
+    """Passages of 51 words that stand twice, also those under 400 bytes, are told beside the strings of 400 bytes."""
+    words = {i: [(m.start(), m.end()) for m in re.finditer(rb"[^\x20\x09-\x0D]+", t.encode())] for i, t in texts.items()}
+    passage = lambda i, n: hashlib.blake2b(b" ".join(texts[i].encode()[a:b] for a, b in words[i][n:n + 51]), digest_size=12).digest()
+    seen = Counter(passage(i, n) for i in texts for n in range(len(words[i]) - 50))
+    short = 0
+    for r in rows_of(spark, "op1_suffix_dedup"):
+        gone = np.zeros(r.n_bytes + 1, bool)
+        for n in range(len(words[r.doc_id]) - 50):
+            if seen[passage(r.doc_id, n)] > 1:
+                gone[words[r.doc_id][n][0]:words[r.doc_id][n + 50][1]] = True
+        assert (r.passage_bytes, r.n_passages) == (gone.sum(), int(gone[0]) + (gone[1:] & ~gone[:-1]).sum()), r.doc_id
+        short += r.n_removed == 0 < r.passage_bytes
+    assert short > 0
+
+
 def test_op2(spark, texts):
     import tiktoken
 
