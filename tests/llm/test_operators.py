@@ -129,6 +129,36 @@ def test_byte_bpe(docs, empty):
     assert byte_bpe.encode(empty).count() == 0
 
 
+def rows_through(df, node):
+    """Rows that the nodes of this name gave in the plan of ``df``, which was collected."""
+    plan, found = df._jdf.queryExecution().executedPlan(), []
+    left = [plan.executedPlan() if plan.nodeName() == "AdaptiveSparkPlan" else plan]
+    while left:
+        at = left.pop()
+        if at.nodeName() == node:
+            found.append(at.metrics().apply("numOutputRows").value())
+        left += [at.plan()] if at.nodeName().endswith("QueryStage") else [at.children().apply(n) for n in range(at.children().size())]
+    return sum(found)
+
+
+def test_byte_bpe_decodes_distinct_ids(spark):
+    """Many texts of few words: the join with the token-byte table gets the ids of a block once, not once for every place; empty texts and a
+    text that is several rows of its block stay what they are."""
+    import tiktoken
+
+    rows = [(n, "one two three four " * 1000 + f"unheardofword{n % 3}") for n in range(20)] + [(20, ""), (21, None), (22, "x"), (23, "a b " * 200_000)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(2)
+    coder = tiktoken.Encoding("t", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_bpe.load_ranks("byte_bpe_50k.tiktoken"), special_tokens={})
+    want = []
+    for i, t in rows:
+        ids = coder.encode_ordinary(t or "")
+        want.append((i, len(ids), hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()))
+    for encoded in (byte_bpe.encode(docs, block_chars=1 << 15), byte_bpe.encode_blocks(docs, block_chars=1 << 15), byte_bpe.encode_blocks(docs)):
+        got = byte_bpe.digests(encoded)
+        assert sorted(map(tuple, got.collect())) == sorted(want)
+        assert 0 < rows_through(got, "BroadcastHashJoin") < 1000 < sum(n for _, n, _, _ in want)
+
+
 def test_token_files(docs, empty):
     from tokenizers import Tokenizer
 
