@@ -5,9 +5,9 @@ The dictionary is trained on the ids of a bounded sample (``sample`` documents w
 doc_id alone and its texts are fetched after.
 
 The pre-tokenizers served here never join characters across white space, so a text's ids are those of its pieces between
-white space, one after the other. Each Python worker holds the ids of pieces it has met (at most ``HELD_PIECES``, from task to task)
-and asks the library for new ones only. Texts with the control characters U+001C to U+001F, which Python counts as white space and the library does
-not, and vocabularies that keep white space are given to the library whole. Documents are ranged by (doc_id, hash of the
+ASCII white space, one after the other. Arrow cuts about ``SLICE_BYTES`` of texts at a time and tells their distinct pieces, and lays the ids of
+these out again by place, so that only distinct pieces become Python strings. Each Python worker holds the ids of pieces it has met (at most
+``HELD_PIECES``, from task to task) and asks the library for new ones only. Vocabularies that keep white space are given whole texts. Documents are ranged by (doc_id, hash of the
 text) and written as shards of bounded size. A shard is bytes: magic, dictionary hash, number of documents, tokens before it in
 its range, then the offset index (doc_id, null flag, offset, length, n_tokens) and the frames, so that one short
 document can be read alone. Shards are stored as a binary column of Parquet, since only Spark's writers reach every
@@ -22,10 +22,12 @@ import os
 import struct
 import unicodedata
 import zlib
+from collections.abc import Iterator
 
 import numpy as np
 import public_tokenizers
 import pyarrow as pa
+import pyarrow.compute as pc
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -34,8 +36,7 @@ from sparsetier.llm.common import arrow_rows, held_by_process, materialize, text
 
 MAGIC = b"TIDS0001"
 _HEAD = "<8s32sIQ"
-HELD_PIECES = 1 << 20
-_CONTROL = ("\x1c", "\x1d", "\x1e", "\x1f")
+HELD_PIECES, SLICE_BYTES = 1 << 20, 8 << 20
 _ENTRY = np.dtype([("doc_id", "<i8"), ("null", "u1"), ("offset", "<u8"), ("length", "<u4"), ("n_tokens", "<u4")])
 
 
@@ -65,8 +66,8 @@ class PieceEncoder:
 
     New pieces of letters alone are given to the library many at a time, parted by blanks: each is one pre-token, so its ids end where
     a token has the end-of-word mark. Other new pieces are cut by the pre-tokenizer's pattern after composition and lower-casing,
-    and their parts are looked up in turn; parts that are no letters, and pieces with characters whose lower case depends on their
-    surroundings or is longer, are parted by a special token instead.
+    and their parts are looked up in turn; parts that are no letters, pieces with characters whose lower case depends on their
+    surroundings or is longer, and pieces with white space of any kind, are parted by a special token instead.
     """
 
     def __init__(self, name: str):
@@ -111,6 +112,8 @@ class PieceEncoder:
                 others.append(p)
             elif p.isalpha():
                 letters.append(p)
+            elif p and p.split() != [p]:  # not ASCII, or U+001C to U+001F, which the library does not count as white space
+                others.append(p)
             else:
                 cut[p] = self.cut(unicodedata.normalize("NFC", p).lower())
         parts = {x for own in cut.values() for x in own} - set(letters) - set(others)
@@ -123,15 +126,36 @@ class PieceEncoder:
         for p, own in cut.items():
             self.held[p] = b"".join(map(self.held.__getitem__, own)) if own != [p] else self.held[p]
 
-    def __call__(self, texts: list[str]) -> list[bytes]:
+    def __call__(self, texts: list[str] | pa.Array) -> list[bytes]:
         if not self.by_piece:
-            return self._whole(texts)
-        pieces = [None if any(c in t for c in _CONTROL) else t.split() for t in texts]
+            return self._whole(texts.to_pylist() if isinstance(texts, pa.Array) else texts)
+        words = pc.ascii_split_whitespace(texts.cast(pa.string()) if isinstance(texts, pa.Array) else pa.array(texts, pa.string()))
+        coded = words.flatten().dictionary_encode()
+        # one string cut at blanks, which no piece holds, is faster than one string after the other
+        pieces = pc.binary_join(pa.ListArray.from_arrays([0, len(coded.dictionary)], coded.dictionary), " ")[0].as_py().split(" ")
         if len(self.held) > HELD_PIECES:
             self.held.clear()
-        new = set().union(*filter(None, pieces))
-        self._learn([p for p in new if p not in self.held])
-        return [self._whole([t])[0] if own is None else b"".join(map(self.held.__getitem__, own)) for t, own in zip(texts, pieces)]
+        own = list(map(self.held.get, pieces))
+        new = [n for n, ids in enumerate(own) if ids is None]
+        self._learn([pieces[n] for n in new])
+        for n in new:
+            own[n] = self.held[pieces[n]]
+        placed = pa.array(own[:len(coded.dictionary)], pa.large_binary()).take(coded.indices)
+        data = placed.buffers()[2]
+        data = memoryview(b"" if data is None else data)
+        ends = np.frombuffer(placed.buffers()[1], "<i8", len(placed) + 1, 8 * placed.offset) if len(placed) else np.zeros(1, dtype=np.int64)
+        edges = ends[np.cumsum(np.concatenate([[0], words.value_lengths().to_numpy()]).astype(np.int64))].tolist()
+        return [bytes(data[a:b]) for a, b in zip(edges, edges[1:])]
+
+
+def slices(batch: pa.RecordBatch, column: str = "text") -> Iterator[pa.RecordBatch]:
+    """The rows of a batch, about ``SLICE_BYTES`` of texts at a time, one row at least."""
+    before = np.cumsum(np.concatenate([[0], pc.binary_length(batch.column(column)).to_numpy()]).astype(np.int64))
+    at = 0
+    while at < batch.num_rows:
+        stop = max(at + 1, int(np.searchsorted(before, before[at] + SLICE_BYTES, "right")) - 1)
+        yield batch.slice(at, stop - at)
+        at = stop
 
 
 def train_dictionary(texts: DataFrame, name: str, end_id: int, sample: int = 256, sample_ids: int = 1 << 14, size: int = 1 << 15) -> bytes:
@@ -164,9 +188,8 @@ def write_shards(docs: DataFrame, name: str = "word_bpe_49k.json", end_id: int =
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([shard], pa.int32()), pa.array([tokens], pa.int64()), pa.array([blob], pa.binary())], names=["part", "shard", "tokens", "blob"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 64):
-                piece = batch.slice(at, 64).to_pydict()
-                for doc_id, ids in zip(piece["doc_id"], encode(piece["text"])):
+            for piece in slices(batch):
+                for doc_id, ids in zip(piece.column("doc_id").to_pylist(), encode(piece.column("text"))):
                     frame = press(ids + end)
                     index.append((doc_id or 0, doc_id is None, size, len(frame), len(ids) // 4 + 1))
                     frames.append(frame)

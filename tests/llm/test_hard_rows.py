@@ -84,6 +84,59 @@ def test_pieces_as_the_library_reads_them(seed):
     assert [x for at in range(0, len(texts), 64) for x in encode(texts[at:at + 64])] == want
 
 
+def test_pieces_with_white_space_of_any_kind():
+    """Pieces are cut at ASCII white space only; what else counts as white space, to Python or to the library, stands inside them."""
+    from tokenizers import Tokenizer
+
+    rng = np.random.default_rng(5)
+    spaces = [c for c in map(chr, range(0x3001)) if c.isspace()] + ["\u200b", "\u180e", "\ufeff", " ", "\r\n"]
+    alphabet = [*spaces, "a", "Word", "\u00e9", "e\u0301", "\u0301", "\u03a3", "\u0130", "'s", "7", "...", "<|startoftext|>"]
+    texts = ["".join(rng.choice(alphabet, rng.integers(0, 12))) for _ in range(4000)] + [f"{a}{c}{b}" for c in spaces for a in ("", "A", "!", " ") for b in ("", "b", "\u0301", " ")]
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    want = [np.array(e.ids, dtype="<u4").tobytes() for e in tok.encode_batch(texts, add_special_tokens=False)]
+    encode = token_files.PieceEncoder("word_bpe_49k.json")
+    assert encode(texts) == want and encode(texts[::-1]) == want[::-1] and encode([]) == []
+
+
+def test_pieces_are_looked_up_once_for_all_places():
+    """What is asked of the table of known pieces goes with the distinct pieces, not with the words of the texts."""
+    from tokenizers import Tokenizer
+
+    asked = []
+
+    class Counted(dict):
+        def get(self, key, default=None):
+            asked.append(key)
+            return super().get(key, default)
+
+        def __getitem__(self, key):
+            asked.append(key)
+            return super().__getitem__(key)
+
+        def __contains__(self, key):
+            asked.append(key)
+            return super().__contains__(key)
+
+    texts = ["one two, three\tfour " * 500 + str(n) for n in range(40)] + [""]
+    tok = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    want = [np.array(e.ids, dtype="<u4").tobytes() for e in tok.encode_batch(texts, add_special_tokens=False)]
+    encode = token_files.PieceEncoder("word_bpe_49k.json")
+    encode.held = Counted()
+    assert encode(texts) == want and encode(texts) == want
+    assert 0 < len(asked) < 1000 < sum(len(t.split()) for t in texts)
+
+
+def test_slices_hold_every_row():
+    import pyarrow as pa
+
+    texts = ["x" * n for n in (0, 5, token_files.SLICE_BYTES + 1, 7, token_files.SLICE_BYTES - 7, 1, 0)]
+    batch = pa.record_batch({"doc_id": pa.array(range(len(texts))), "text": pa.array(texts)})
+    cut = list(token_files.slices(batch))
+    assert [i for c in cut for i in c.column("doc_id").to_pylist()] == list(range(len(texts))) and len(cut) > 2
+    assert all(c.num_rows == 1 or sum(map(len, c.column("text").to_pylist())) <= token_files.SLICE_BYTES for c in cut)
+    assert list(token_files.slices(batch.slice(0, 0))) == []
+
+
 def test_toxicity_with_noisy_labels(spark):
     """A sixth of the labels is wrong; the words decide all the same, and many harmless sentences add nothing."""
     rng = np.random.default_rng(9)
